@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import exact_dedup, mixing, url_filter
+from sigres.llm import exact_dedup, mixing, simhash, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -21,6 +21,11 @@ def op3_exact_dedup(spark, sf_dir):
     return exact_dedup.exact_duplicates(_documents(spark, sf_dir))
 
 
+def op5_simhash(spark, sf_dir):
+    found = simhash.linked_components(_documents(spark, sf_dir))
+    return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
 def op8_url_filter(spark, sf_dir):
     return url_filter.filter_urls(load_table(spark, sf_dir, "pages"))
 
@@ -28,6 +33,7 @@ def op8_url_filter(spark, sf_dir):
 QUERIES = {
     "op1_mixing": op1_mixing,
     "op3_exact_dedup": op3_exact_dedup,
+    "op5_simhash": op5_simhash,
     "op8_url_filter": op8_url_filter,
 }
 
