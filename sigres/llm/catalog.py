@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import exact_dedup, mixing, simhash, url_filter
+from sigres.llm import decontaminate, exact_dedup, mixing, simhash, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -30,11 +30,16 @@ def op8_url_filter(spark, sf_dir):
     return url_filter.filter_urls(load_table(spark, sf_dir, "pages"))
 
 
+def op9_decontamination(spark, sf_dir):
+    return decontaminate.judge(_documents(spark, sf_dir), load_table(spark, sf_dir, "benchmark"))
+
+
 QUERIES = {
     "op1_mixing": op1_mixing,
     "op3_exact_dedup": op3_exact_dedup,
     "op5_simhash": op5_simhash,
     "op8_url_filter": op8_url_filter,
+    "op9_decontamination": op9_decontamination,
 }
 
 ORACLES = {
