@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import decontaminate, exact_dedup, mixing, simhash, url_filter
+from sigres.llm import decontaminate, exact_dedup, language_id, mixing, quality, simhash, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -17,6 +17,10 @@ def op1_mixing(spark, sf_dir):
     return mixed.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
 
 
+def op2_language_id(spark, sf_dir):
+    return language_id.identify(_documents(spark, sf_dir))
+
+
 def op3_exact_dedup(spark, sf_dir):
     return exact_dedup.exact_duplicates(_documents(spark, sf_dir))
 
@@ -26,6 +30,10 @@ def op5_simhash(spark, sf_dir):
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op6_quality(spark, sf_dir):
+    return quality.classify(_documents(spark, sf_dir), load_table(spark, sf_dir, "labels"))
+
+
 def op8_url_filter(spark, sf_dir):
     return url_filter.filter_urls(load_table(spark, sf_dir, "pages"))
 
@@ -36,8 +44,10 @@ def op9_decontamination(spark, sf_dir):
 
 QUERIES = {
     "op1_mixing": op1_mixing,
+    "op2_language_id": op2_language_id,
     "op3_exact_dedup": op3_exact_dedup,
     "op5_simhash": op5_simhash,
+    "op6_quality": op6_quality,
     "op8_url_filter": op8_url_filter,
     "op9_decontamination": op9_decontamination,
 }

@@ -15,11 +15,10 @@ from __future__ import annotations
 import hashlib
 
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sigres.llm.batches import map_text
+from sigres.llm.batches import map_text, row_counter
 from sigres.plans.scratch import Scratch, small_side
 
 #: Bytes of the first digit and the factor by which digits widen in each round.
@@ -117,7 +116,7 @@ def exact_duplicates(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS) -> D
     """
     scratch = Scratch(docs.sparkSession, "exact")
     narrow = docs.select("doc_id", "text")
-    rows = scratch.save(map_text(narrow, _local, _LOCAL, setup=_counter), "local")
+    rows = scratch.save(map_text(narrow, _local, _LOCAL, setup=row_counter), "local")
     reps = rows.where("digit is not null").select("key", "digit", "rest")
     classes = scratch.save(radix_partition(reps, scratch, broadcast_rows=broadcast_rows), "classes")
     ids = rows.select("key", "rep_key", "doc_id", "n_points", "text_sha256")
@@ -133,10 +132,6 @@ def exact_duplicates(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS) -> D
                     F.coalesce(F.col("best.key") == F.col("key"), F.lit(True)).alias("kept"), "text_sha256"))
 
 
-def _counter() -> list[int]:
-    return [TaskContext.get().partitionId() << 40]
-
-
 ORACLE = r"""
 WITH n AS (
   SELECT doc_id, coalesce(text, '') AS t, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') AS m FROM documents
