@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import decontaminate, exact_dedup, language_id, mixing, quality, simhash, url_filter
+from sigres.llm import decontaminate, exact_dedup, language_id, mixing, pii, quality, simhash, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -25,6 +25,10 @@ def op3_exact_dedup(spark, sf_dir):
     return exact_dedup.exact_duplicates(_documents(spark, sf_dir))
 
 
+def op4_pii(spark, sf_dir):
+    return pii.find_personal_data(_documents(spark, sf_dir))
+
+
 def op5_simhash(spark, sf_dir):
     found = simhash.linked_components(_documents(spark, sf_dir))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -46,6 +50,7 @@ QUERIES = {
     "op1_mixing": op1_mixing,
     "op2_language_id": op2_language_id,
     "op3_exact_dedup": op3_exact_dedup,
+    "op4_pii": op4_pii,
     "op5_simhash": op5_simhash,
     "op6_quality": op6_quality,
     "op8_url_filter": op8_url_filter,
