@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import decontaminate, exact_dedup, language_id, mixing, pii, quality, simhash, url_filter
+from sigres.llm import decontaminate, exact_dedup, language_id, mixing, pii, quality, simhash, toxicity, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -46,6 +46,10 @@ def op9_decontamination(spark, sf_dir):
     return decontaminate.judge(_documents(spark, sf_dir), load_table(spark, sf_dir, "benchmark"))
 
 
+def op10_toxicity(spark, sf_dir):
+    return toxicity.score(_documents(spark, sf_dir), load_table(spark, sf_dir, "labels"))
+
+
 QUERIES = {
     "op1_mixing": op1_mixing,
     "op2_language_id": op2_language_id,
@@ -55,6 +59,7 @@ QUERIES = {
     "op6_quality": op6_quality,
     "op8_url_filter": op8_url_filter,
     "op9_decontamination": op9_decontamination,
+    "op10_toxicity": op10_toxicity,
 }
 
 ORACLES = {

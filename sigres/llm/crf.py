@@ -139,16 +139,12 @@ def train(sequences: Sequence[tuple[Sequence[str], Sequence[str]]], describe: Ca
     np.add.at(moves, (truth[inner - 1], truth[inner]), 1)
     state = [(p, np.zeros_like(p), np.zeros_like(p)) for p in (model.weights, model.moves, model.begin)]
     for step in range(1, rounds + 1):
-        rows = np.zeros((len(classes), 3, k))
-        np.add.at(rows, member, model.weights[feature])
+        rows = _sums(member, model.weights[feature], len(classes))
         p, pairs = model.marginals(model.emissions(rows, cls, chain), chain, pairs=True)
         off = (p - want) / len(sequences)
-        by_class = np.zeros((len(classes), 3, k))
-        np.add.at(by_class[:, 0], cls, off)
-        np.add.at(by_class[:, 1], cls[inner - 1], off[inner])
-        np.add.at(by_class[:, 2], cls[inner], off[inner - 1])
-        dw = np.zeros_like(model.weights)
-        np.add.at(dw, feature, by_class[member])
+        by_class = np.stack([_sums(cls, off, len(classes)), _sums(cls[inner - 1], off[inner], len(classes)),
+                             _sums(cls[inner], off[inner - 1], len(classes))], 1)
+        dw = _sums(feature, by_class[member], len(names))
         grads = (dw, (pairs - moves) / len(sequences), off[first].sum(0))
         for (value, m, v), g in zip(state, grads):
             g = g + ridge * value
@@ -158,6 +154,13 @@ def train(sequences: Sequence[tuple[Sequence[str], Sequence[str]]], describe: Ca
     return model
 
 
+def _sums(group: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+    """Sums of the rows of ``values`` that have the same group number."""
+    flat = values.reshape(len(values), -1)
+    out = np.stack([np.bincount(group, flat[:, j], n) for j in range(flat.shape[1])], 1)
+    return out.reshape(n, *values.shape[1:])
+
+
 class TokenClasses:
     """Tokens -> class numbers with their emission parts, remembered up to a bound.
 
