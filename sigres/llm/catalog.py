@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sigres.llm import decontaminate, exact_dedup, language_id, mixing, pii, quality, simhash, toxicity, url_filter
+from sigres.llm import decontaminate, exact_dedup, html_text, language_id, mixing, pii, quality, simhash, toxicity, url_filter
 from sigres.sources.tables import load_table
 
 
@@ -38,6 +38,10 @@ def op6_quality(spark, sf_dir):
     return quality.classify(_documents(spark, sf_dir), load_table(spark, sf_dir, "labels"))
 
 
+def op7_html_extraction(spark, sf_dir):
+    return html_text.extract_pages(load_table(spark, sf_dir, "pages"))
+
+
 def op8_url_filter(spark, sf_dir):
     return url_filter.filter_urls(load_table(spark, sf_dir, "pages"))
 
@@ -57,6 +61,7 @@ QUERIES = {
     "op4_pii": op4_pii,
     "op5_simhash": op5_simhash,
     "op6_quality": op6_quality,
+    "op7_html_extraction": op7_html_extraction,
     "op8_url_filter": op8_url_filter,
     "op9_decontamination": op9_decontamination,
     "op10_toxicity": op10_toxicity,

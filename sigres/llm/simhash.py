@@ -48,7 +48,7 @@ RUN = 4096
 #: Rows up to which an id table is broadcast (about 16 bytes each).
 BROADCAST_ROWS = 500_000
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
-_GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+_GOLDEN = 0x9E3779B97F4A7C15
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -71,7 +71,7 @@ def lane(hashes: np.ndarray, j: int) -> np.ndarray:
     """The j-th independent 64-bit hash of a shingle, mixed from the first one."""
     if not j:
         return hashes
-    x = hashes + _GOLDEN * np.uint64(j)
+    x = hashes + np.uint64(_GOLDEN * j % (1 << 64))
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return x ^ (x >> np.uint64(31))
