@@ -74,12 +74,13 @@ def nearest_link(pairs: DataFrame, n: int = 1) -> DataFrame:
     return top.select(F.least("lo", "hi").alias("lo"), F.greatest("lo", "hi").alias("hi")).distinct()
 
 
-def minhash_link(records: DataFrame, grams: Column, least: float, bands: int = 20, rows: int = 3) -> DataFrame:
+def minhash_link(records: DataFrame, grams: Column, least: float, bands: int = 12, rows: int = 3) -> DataFrame:
     """Locality-sensitive hashing: bands of minima of hashed grams meet, then the Jaccard test."""
-    mins = F.array(*[F.array_min(F.transform("g", lambda x, i=i: F.xxhash64(F.lit(i), x))) for i in range(bands * rows)])
     sets = records.select("rid", F.array_distinct(grams).alias("g")).where(F.size("g") > 0)
-    keys = sets.withColumn("m", mins).select("rid", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(
-        F.slice("m", b * rows + 1, rows)))).alias("band", "key"))
+    hashes = sets.select("rid", F.explode("g").alias("x")).select("rid", F.xxhash64("x").alias("h"))
+    least_of = [F.min(F.xxhash64(F.lit(i), "h")).alias(f"m{i}") for i in range(bands * rows)]
+    names = [[f"m{b * rows + r}" for r in range(rows)] for b in range(bands)]
+    keys = hashes.groupBy("rid").agg(*least_of).select("rid", F.posexplode(F.array(*[F.xxhash64(*n) for n in names])).alias("band", "key"))
     # members of a bucket meet its smallest record, so no bucket is squared
     hub = keys.groupBy("band", "key").agg(F.min("rid").alias("lo"), F.count("*").alias("n")).where("n > 1")
     near = keys.join(hub, ["band", "key"]).where("rid > lo").select("lo", F.col("rid").alias("hi")).distinct()

@@ -74,13 +74,16 @@ def shifted(attr: str, by_source: dict[int, int]) -> Family:
     return Family(f"shift({attr})", expr)
 
 
+def _beside(left: Column, right: Column) -> Column:
+    return F.flatten(F.transform(left, lambda x: F.transform(right, lambda y: F.concat(x, F.lit(" | "), y))))
+
+
 def compose(*families: Family) -> Family:
     """One signature of each family, side by side."""
     def expr() -> Column:
         out = families[0].expr()
         for f in families[1:]:
-            more = f.expr()
-            out = F.flatten(F.transform(out, lambda x, more=more: F.transform(more, lambda y: F.concat(x, F.lit(" | "), y))))
+            out = _beside(out, f.expr())
         return out
     return Family(" + ".join(f.name for f in families), expr)
 
@@ -118,7 +121,7 @@ def emit(records: DataFrame, families: list[Family], namespace: bool = False) ->
     With ``namespace`` equal words of two families are two signatures.
     """
     def named(i: int, f: Family) -> Column:
-        return F.transform(f.expr(), lambda s, i=i: F.concat(F.lit(f"{i}: "), s)) if namespace else f.expr()
+        return F.transform(f.expr(), lambda s: F.concat(F.lit(f"{i}: "), s)) if namespace else f.expr()
     sigs = F.array_distinct(F.concat(*[named(i, f) for i, f in enumerate(families)]))
     return records.select("rid", "source", F.explode(sigs).alias("sig"))
 

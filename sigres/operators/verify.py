@@ -78,20 +78,19 @@ def jaro_winkler(a: str, b: str, scale: float = 0.1, least: float = 0.7) -> floa
     return j + same * scale * (1 - j)
 
 
-@F.pandas_udf("double")
-def jaro_column(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([jaro(x, y) for x, y in zip(a, b)], dtype="float64")
+def similarity_udf(winkler: bool):
+    """An Arrow UDF over two text columns; Spark has no such function of its own."""
+    f = jaro_winkler if winkler else jaro
 
-
-@F.pandas_udf("double")
-def jaro_winkler_column(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([jaro_winkler(x, y) for x, y in zip(a, b)], dtype="float64")
+    @F.pandas_udf("double")
+    def column(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([f(x, y) for x, y in zip(a, b)], dtype="float64")
+    return column
 
 
 def by_jaro(col: str, least: float, winkler: bool = False):
     def rule(x: str, y: str) -> Column:
-        f = jaro_winkler_column if winkler else jaro_column
-        return f(F.array_join(f"{x}_{col}", " "), F.array_join(f"{y}_{col}", " ")) >= least
+        return similarity_udf(winkler)(F.array_join(f"{x}_{col}", " "), F.array_join(f"{y}_{col}", " ")) >= least
     return rule
 
 

@@ -2,10 +2,20 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+
+from sigres.plans import comparisons, methods
+
+_MODULES = (methods, comparisons)
+
 
 def queries() -> dict:
-    return {}
+    return {k: v for m in _MODULES for k, v in m.QUERIES.items()}
+
+
+def oracles() -> dict[str, str]:
+    return {k: v for m in _MODULES for k, v in m.ORACLES.items()}
 
 
-def oracles() -> dict:
-    return {}
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return methods.resolve_documents(spark, sf_dir)
