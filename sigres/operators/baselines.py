@@ -76,7 +76,7 @@ def nearest_link(pairs: DataFrame, n: int = 1) -> DataFrame:
 
 def minhash_link(records: DataFrame, grams: Column, least: float, bands: int = 12, rows: int = 3) -> DataFrame:
     """Locality-sensitive hashing: bands of minima of hashed grams meet, then the Jaccard test."""
-    sets = records.select("rid", F.array_distinct(grams).alias("g")).where(F.size("g") > 0)
+    sets = Scratch(records.sparkSession, "minhash").save(records.select("rid", F.array_distinct(grams).alias("g")), "sets").where(F.size("g") > 0)
     hashes = sets.select("rid", F.explode("g").alias("x")).select("rid", F.xxhash64("x").alias("h"))
     least_of = [F.min(F.xxhash64(F.lit(i), "h")).alias(f"m{i}") for i in range(bands * rows)]
     names = [[f"m{b * rows + r}" for r in range(rows)] for b in range(bands)]

@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sigres.plans import comparisons, methods
+from sigres.plans import comparisons, methods, relational, streams
 
-_MODULES = (methods, comparisons)
+_MODULES = (methods, comparisons, relational, streams)
 
 
 def queries() -> dict:
