@@ -198,10 +198,14 @@ def score(docs: DataFrame, model: Model, scratch: Scratch, shard_contexts: int =
                     "row": np.arange(counter[0] - len(n), counter[0])}
 
         got = map_text(docs.select("doc_id", "lang", "text"), run, "doc_id long, lang string, n_chars long, nll double, row long", setup=row_counter)
+        # each pass is a job of its own, so that its tasks number their rows alike
+        got = scratch.save(got, "pass")
+        rows.unpersist()
         out = got if out is None else out.unionByName(got)
     if model.contexts > shard_contexts:
         out = out.groupBy("doc_id", "lang", "n_chars", "row").agg(F.sum("nll").alias("nll"))
-    return scratch.save(out.drop("row"), "scores")
+        out = scratch.save(out, "scores")
+    return out.drop("row")
 
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN,
