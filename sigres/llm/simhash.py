@@ -9,9 +9,9 @@ Two settings are used.
 * ``linked_components``: 64 bits in two segments of 32.  Of three differing bits one segment has at
   most one, so all links at distance 3 or less are found: the index is exact.
 * ``near_duplicates``: five-word shingles, Jaccard 0.8 or more.  Such texts differ in about 15% of the
-  bits, too many for an exact index, so 12 segments of 20 bits are taken from four independent
-  fingerprints; a pair at Jaccard 0.8 / 0.85 / 0.9 / 0.95 shares a variant with probability
-  0.90 / 0.97 / 0.996 / 1.0.  A fifth fingerprint filters and the shingle sets decide.
+  bits, too many for an exact index, so 18 segments of 20 bits are taken from six independent
+  fingerprints of the distinct shingles; a pair at Jaccard 0.8 / 0.85 / 0.9 shares a variant with
+  probability 0.966 / 0.994 / 0.9998.  A seventh fingerprint filters and the shingle sets decide.
 
 Skew: copies collapse to one fingerprint before anything is emitted.  A bucket of one variant is a
 run of sorted rows that a worker streams; of a bucket only a minimum spanning forest of close
@@ -40,7 +40,7 @@ SEED = 42
 MAX_BITS, SHINGLE = 3, 3
 #: Near-duplicate setting: words of a shingle, similarity, segments per lane and their bits, lanes.
 NEAR_SHINGLE, NEAR_JACCARD = 5, 0.8
-SEGMENT_BITS, SEGMENTS_PER_LANE, LANES = 20, 3, 4
+SEGMENT_BITS, SEGMENTS_PER_LANE, LANES = 20, 3, 6
 #: Differing bits of 64 that the filter lets pass: Jaccard 0.8 has 9.7 on average, deviation 2.9.
 SKETCH_BITS = 18
 #: Rows of a bucket that a worker holds.
@@ -86,14 +86,19 @@ def fingerprint(hashes: np.ndarray, block: int = 1 << 16) -> int:
     return int(np.packbits((counts * 2 > len(hashes)).astype(np.uint8), bitorder="little").view(np.uint64)[0])
 
 
-def fingerprints(docs: DataFrame, shingle: int, lanes: int) -> DataFrame:
-    """(doc_id, f0, f1, ...): one signed 64-bit fingerprint per lane of the whole text."""
+def fingerprints(docs: DataFrame, shingle: int, lanes: int, distinct: bool = False) -> DataFrame:
+    """(doc_id, f0, f1, ...): one signed 64-bit fingerprint per lane of the whole text.
+
+    Shingles count as often as they occur, or once each if ``distinct``.
+    """
     names = [f"f{j}" for j in range(lanes)]
 
     def run(part: pa.RecordBatch) -> dict:
         found = np.zeros((lanes, part.num_rows), np.uint64)
         for i, text in enumerate(part.column("text").to_pylist()):
             hashes = shingle_hashes(words_of(text), shingle)
+            if distinct:
+                hashes = np.unique(hashes)
             for j in range(lanes):
                 found[j, i] = fingerprint(lane(hashes, j))
         return {"doc_id": part.column("doc_id")} | {n: found[j].view(np.int64) for j, n in enumerate(names)}
@@ -308,13 +313,13 @@ def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int
 
     Two texts are near-duplicates if their sets of five-word shingles (A-Z in lower case; the whole
     sequence if shorter) have Jaccard similarity 0.8 or more; classes are closed under links.
-    Documents whose five fingerprints are all equal are taken as one text.  Rows without a doc_id are
+    Documents whose seven fingerprints are all equal are taken as one text.  Rows without a doc_id are
     left out; repeated rows are one document.  Documents that are in no class are not returned.
     """
     scratch = Scratch(docs.sparkSession, "near")
     names = [f"f{j}" for j in range(LANES + 1)]
     known = docs.where("doc_id is not null")
-    base = scratch.save(fingerprints(known, shingle, LANES + 1), "prints")
+    base = scratch.save(fingerprints(known, shingle, LANES + 1, distinct=True), "prints")
     reps = scratch.save(base.groupBy(*names).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "reps")
     rows = variants(reps.withColumn("sketch", F.col(names[-1])), names[:LANES], SEGMENT_BITS, SEGMENTS_PER_LANE)
     pairs = scratch.save(close_pairs(rows, SKETCH_BITS).where("a is not null").select("a", "b").distinct(), "pairs")

@@ -151,6 +151,16 @@ def test_near_duplicates(spark):
     assert found >= 0.97 * len(rows) and all(v == k // 10 * 10 for k, v in got.items())
 
 
+def test_near_duplicates_count_each_shingle_once(spark):
+    rng = random.Random(8)
+    words = lambda n: " ".join(f"w{rng.randrange(5000)}" for _ in range(n))
+    base, line = words(200), words(12)
+    rows = [(1, base), (2, base + (" " + base[-40:]) + (" " + line) * 40), (3, base + " " + line)]  # repeats weigh nothing
+    rows += [(10, line * 60 + words(60)), (11, line * 60 + words(60))]  # only what is repeated is shared
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 1, 3: 1}
+
+
 # ---- benchmark passages ----
 
 def test_contamination(spark, odd, none):
