@@ -11,7 +11,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 #: Bytes of text that a worker handles at once; one longer text makes a slice of its own.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 
 def slices(batches: Iterator[pa.RecordBatch], text: str, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -43,6 +43,9 @@ def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], dict], schema: str, t
         for part in slices(batches, text):
             out = fn(part, *state)
             yield pa.RecordBatch.from_arrays([pa.array(out[f.name], f.type) for f in arrow], schema=arrow)
+        # workers stay for later tasks: what this one needed goes back to the machine
+        del state
+        pa.default_memory_pool().release_unused()
 
     return df.mapInArrow(run, schema)
 
