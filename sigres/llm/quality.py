@@ -17,7 +17,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sigres.llm.batches import map_text, row_counter
@@ -34,6 +34,8 @@ QUANTILE, MARGIN = 0.995, 1.05
 PRIOR_CHARS = 40
 #: Trusted documents that a language needs for a threshold of its own.
 LEAST_TRUSTED = 50
+#: Steps of a perplexity's logarithm that quantiles are counted in: 0.05% each.
+GRID = 2000
 #: Labelled ids up to which their table is broadcast.
 BROADCAST_LABELS = 1_000_000
 _A = ALPHABET
@@ -208,6 +210,18 @@ def score(docs: DataFrame, model: Model, scratch: Scratch, shard_contexts: int =
     return out.drop("row")
 
 
+def quantiles(bins: DataFrame, keys: list[str], quantile: float) -> DataFrame:
+    """Counts (keys, bin, n) of logarithms on the grid -> (keys, total, q): the upper end of the bin
+    that the quantile is in.  Unlike a sketch it does not depend on the order of the rows.
+    """
+    per = bins.groupBy(*keys, "bin").agg(F.sum("n").alias("n"))
+    group = Window.partitionBy(*keys)
+    upto = F.sum("n").over(group.orderBy("bin").rowsBetween(Window.unboundedPreceding, 0))
+    reached = per.select(*keys, "bin", upto.alias("upto"), F.sum("n").over(group).alias("total")).where(F.col("upto") >= F.lit(quantile) * F.col("total"))
+    found = reached.groupBy(*keys, "total").agg(F.min("bin").alias("bin"))
+    return found.select(*keys, "total", F.exp((F.col("bin") + 1) / F.lit(float(GRID))).alias("q"))
+
+
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN,
              shard_contexts: int = SHARD_CONTEXTS, broadcast_labels: int = BROADCAST_LABELS) -> DataFrame:
     """One row per row of ``docs``: doc_id, lang, n_chars, perplexity, threshold, keep.
@@ -232,9 +246,10 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, mar
     known = scratch.save(scores.join(small_side(ids, broadcast_labels), "doc_id", "left_semi"), "known")
     mean = known.agg(F.sum("nll") / F.greatest(F.sum("n_chars"), F.lit(1))).first()[0] or 0.0
     rate = F.exp((F.col("nll") + mean * PRIOR_CHARS) / (F.col("n_chars") + PRIOR_CHARS))
-    cut = lambda df: df.agg(F.percentile_approx(rate, quantile, 10_000).alias("q"), F.count("*").alias("n"))
-    general = (cut(known).first()[0] or float("inf")) * margin
-    own = scratch.save(cut(known.groupBy("lang")).where(F.col("lang").isNotNull() & (F.col("n") >= LEAST_TRUSTED))
+    bins = scratch.save(known.groupBy("lang", F.floor(F.log(rate) * GRID).alias("bin")).agg(F.count("*").alias("n")), "bins")
+    whole = quantiles(bins, [], quantile).first()
+    general = whole.q * margin if whole else float("inf")
+    own = scratch.save(quantiles(bins, ["lang"], quantile).where(F.col("lang").isNotNull() & (F.col("total") >= LEAST_TRUSTED))
                        .select("lang", (F.col("q") * margin).alias("own")), "thresholds")
     judged = (scores.join(small_side(own, broadcast_labels // 10), "lang", "left")
               .withColumn("perplexity", rate).withColumn("threshold", F.coalesce("own", F.lit(general))))
