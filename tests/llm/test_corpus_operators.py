@@ -1,5 +1,6 @@
 """The corpus operators on odd rows and against brute force or SQL."""
 
+import math
 import random
 import re
 import zlib
@@ -161,6 +162,17 @@ def test_near_duplicates_count_each_shingle_once(spark):
     assert got == {1: 1, 2: 1, 3: 1}
 
 
+def test_quantiles_of_binned_counts(spark):
+    rows = [(k, b, n) for k in ("x", None) for b, n in ((0, 90), (5, 5), (5, 4), (9, 1))]
+    bins = spark.createDataFrame(rows, "lang string, bin long, n long")
+    for keys, total in (([], 200), (["lang"], 100)):
+        for share, at in ((0.9, 0), (0.91, 5), (0.99, 5), (1.0, 9)):
+            got = quality.quantiles(bins, keys, share).collect()
+            assert len(got) == (2 if keys else 1) and all(r.total == total for r in got)
+            assert all(abs(r.q - math.exp((at + 1) / quality.GRID)) < 1e-9 for r in got)
+    assert quality.quantiles(bins.limit(0), [], 0.5).count() == 0
+
+
 # ---- benchmark passages ----
 
 def test_contamination(spark, odd, none):
