@@ -14,11 +14,13 @@ Two settings are used.
   probability 0.966 / 0.994 / 0.9998.  A seventh fingerprint filters and the shingle sets decide.
 
 Skew: copies collapse to one fingerprint before anything is emitted.  A bucket of one variant is a
-run of sorted rows that a worker streams; of a bucket only a minimum spanning forest of close
-fingerprints leaves the worker, never all pairs.  In the exact setting a run that passes ``RUN`` rows
-is not held but sent on with more of its bits known; at the third level a bucket cannot have more
-than 2,048 different fingerprints.  In the other setting such a run goes through in blocks, of which
-one member per class is carried on to the next block.
+run of sorted rows that a worker streams; of a large bucket a minimum spanning forest of close
+fingerprints leaves the worker first, not all pairs.  In the exact setting, where closeness decides, a
+run that passes ``RUN`` rows is not held but sent on with more of its bits known; at the third level a
+bucket cannot have more than 2,048 different fingerprints.  In the other setting the forest only gathers
+classes, since shingle sets decide: rows of a bucket with close pairs outside the forest are kept, and
+when the forest is verified their close pairs of different classes are all compared, a bucket of over
+``RUN`` rows as pairs of blocks.
 """
 
 from __future__ import annotations
@@ -119,33 +121,42 @@ def variants(nodes: DataFrame, lanes: list[str], bits: int, per_lane: int) -> Da
             .select(key.alias("k1"), F.lit(0).cast("long").alias("k2"), "sketch", "id"))
 
 
-def _spanning(sketch: np.ndarray, ids: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
-    """Edges of a minimum spanning forest over pairs that differ in ``most`` bits or fewer."""
+def _spanning(sketch: np.ndarray, ids: np.ndarray, most: int) -> tuple[list[tuple[int, int]], np.ndarray]:
+    """Edges of a minimum spanning forest over pairs that differ in ``most`` bits or fewer, and a mask
+    of the rows in trees that leave out such pairs."""
     n = len(ids)
+    tree, forest = np.zeros(n, np.int64), []
     if n <= 512 and (np.bitwise_count(sketch[:, None] ^ sketch[None, :]) <= most).sum() == n:
-        return
+        return forest, np.zeros(n, bool)
     best, parent = np.full(n, 255, np.uint8), np.zeros(n, np.int64)
-    open_ = np.ones(n, bool)
+    open_, spare = np.ones(n, bool), [0]  # close pairs of each tree that are not its edges
     for _ in range(n):
         rank = np.where(open_, best, 255)
         at = int(rank.argmin())
         if not open_[at] or best[at] > most:
             at = int(open_.argmax())
-        elif best[at] <= most:
-            yield int(ids[parent[at]]), int(ids[at])
-        open_[at] = False
+            spare.append(0)
+        else:
+            forest.append((int(ids[parent[at]]), int(ids[at])))
+            spare[-1] -= 1
+        open_[at], tree[at] = False, len(spare) - 1
         d = np.bitwise_count(sketch ^ sketch[at])
+        spare[-1] += int((open_ & (d <= most)).sum())
         nearer = open_ & (d < best)
         best[nearer], parent[nearer] = d[nearer], at
+    return forest, np.array(spare)[tree] > 0
 
 
-def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (k1, k2) -> edges (a, b), and rows of runs that are too long: (k1, k2, sketch, id).
+def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool, keep: bool) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by (k1, k2) -> edges (a, b), and rows that are sent on: (k1, k2, sketch, id).
 
-    Edges that a worker has just sent are not sent again.
+    Sent on are rows of runs that are too long, and with ``keep`` those whose forest leaves out close
+    pairs.  Edges that a worker has just sent are not sent again.
     """
     schema = pa.schema([(n, pa.int64()) for n in ("a", "b", "k1", "k2", "sketch", "id")])
     edges: set[tuple[int, int]] = set()
+    kept: list[list[np.ndarray]] = []
+    seen: set[bytes] = set()  # sets of rows kept; in another bucket the same rows have the same pairs
 
     def sent(rows=None):
         n = len(edges)
@@ -175,8 +186,18 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool)
                 link(ids[i], ids[i + d])
         for r in np.flatnonzero(size > 9):
             part = slice(start[r], start[r] + size[r])
-            for a, b in _spanning(bits[part], ids[part], most):
-                edges.add((min(a, b), max(a, b)))
+            forest, tangled = _spanning(bits[part], ids[part], most)
+            edges.update((min(e), max(e)) for e in forest)
+            if keep and tangled.any():
+                of = xxhash.xxh3_128_digest(np.sort(ids[part][tangled]).tobytes())
+                if of not in seen:
+                    seen.add(of)
+                    kept.append([c[part][tangled] for c in (k1, k2, sketch, ids)])
+        if sum(len(c[0]) for c in kept) > 50_000:
+            yield from sent([np.concatenate(c) for c in zip(*kept)])
+            kept.clear()
+        if len(seen) > 200_000:
+            seen.clear()
 
     held: list[tuple[np.ndarray, ...]] = []
     count, over = 0, None  # rows held; the key of a run that is passed on
@@ -207,13 +228,13 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool)
                     yield from sent([c[long] for c in whole])
                     whole = [c[~long] for c in whole]
             if len(whole[0]):
-                settle(*whole)
+                yield from settle(*whole)
         held, count = [tuple(tail)], len(tail[0])
         if refine and count > run:
             yield from sent(tail)
             held, count, over = [], 0, last
         elif count > run:
-            forest = list(_spanning(tail[2].view(np.uint64), tail[3], most))
+            forest, _ = _spanning(tail[2].view(np.uint64), tail[3], most)
             edges.update((min(e), max(e)) for e in forest)
             roots = ~np.isin(tail[3], np.array([b for _, b in forest], np.int64))
             held = [tuple(c[roots] for c in tail)]
@@ -221,17 +242,74 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool)
         if len(edges) > 200_000:
             yield from sent()
     if held and count:
-        settle(*held[0])
-    yield from sent()
+        yield from settle(*held[0])
+    yield from sent([np.concatenate(c) for c in zip(*kept)] if kept else None)
 
 
 _CLOSE = "a long, b long, k1 long, k2 long, sketch long, id long"
 
 
-def close_pairs(rows: DataFrame, most: int, run: int = RUN, refine: bool = False) -> DataFrame:
+def close_pairs(rows: DataFrame, most: int, run: int = RUN, refine: bool = False, keep: bool = False) -> DataFrame:
     """Edges between ids that meet in a bucket and differ in ``most`` bits of their sketch or fewer."""
     return (rows.repartition("k1", "k2").sortWithinPartitions("k1", "k2")
-            .mapInArrow(lambda batches: _close(batches, most, run, refine), _CLOSE))
+            .mapInArrow(lambda batches: _close(batches, most, run, refine, keep), _CLOSE))
+
+
+def _cross(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by (k1, first, second) -> all close pairs (a, b) of different labels.
+
+    Where the blocks first and second differ, only pairs of one row of each are compared.
+    """
+    names, pairs = ("k1", "first", "second", "block", "sketch", "id", "label"), set()
+
+    def sent():
+        cols = [np.fromiter((e[i] for e in pairs), np.int64, len(pairs)) for i in (0, 1)]
+        pairs.clear()
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["a", "b"])
+
+    def settle(cols):
+        _, first, second, block, sketch, ids, label = cols
+        bits, n = sketch.view(np.uint64), len(ids)
+        for at in range(0, n, 256):
+            rows = slice(at, at + 256)
+            hit = (np.bitwise_count(bits[rows, None] ^ bits[None, :]) <= most) & (label[rows, None] != label[None, :])
+            hit &= ids[rows, None] < ids[None, :]
+            if first[0] != second[0]:
+                hit &= block[rows, None] != block[None, :]
+            i, j = np.nonzero(hit)
+            pairs.update(zip(ids[at + i].tolist(), ids[j].tolist()))
+            if len(pairs) > 200_000:
+                yield sent()
+
+    held = None
+    for batch in batches:
+        cols = [batch.column(n).to_numpy() for n in names]
+        if not len(cols[0]):
+            continue
+        if held is not None:
+            cols = [np.concatenate(c) for c in zip(held, cols)]
+        start = np.flatnonzero(np.r_[True, np.any([c[1:] != c[:-1] for c in cols[:3]], axis=0)])
+        for a, b in zip(start, start[1:]):
+            yield from settle([c[a:b] for c in cols])
+        held = [c[start[-1]:] for c in cols]
+    if held is not None:
+        yield from settle(held)
+    yield sent()
+
+
+def _blocks(rows: DataFrame, run: int) -> DataFrame:
+    """Rows with ``n``, the size of their bucket: add ``blocks`` and ``block``, about half of ``run`` rows each if n is above ``run``."""
+    blocks = F.when(F.col("n") > run, F.ceil(F.col("n") * 2 / run)).otherwise(1).cast("long")
+    return rows.withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+
+
+def cross_pairs(rows: DataFrame, most: int, run: int = RUN) -> DataFrame:
+    """(k1, n, sketch, id, label) -> close pairs (a, b) of one bucket and different labels, none left out."""
+    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other")
+    met = _blocks(rows, run).select("k1", "sketch", "id", "label", "block", other)
+    met = met.select("k1", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"), "block", "sketch", "id", "label")
+    keys = ["k1", "first", "second"]
+    return met.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(lambda batches: _cross(batches, most), "a long, b long").distinct()
 
 
 def _refined(rows: DataFrame, level: int) -> DataFrame:
@@ -308,11 +386,21 @@ def shingle_sets(docs: DataFrame, n: int) -> DataFrame:
     return map_text(docs, run, "id long, hashes array<long>")
 
 
-def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int = NEAR_SHINGLE) -> DataFrame:
+def _similar(pairs: DataFrame, sets: DataFrame, jaccard: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets have this Jaccard similarity or more."""
+    both = (pairs.join(sets.select(F.col("id").alias("a"), F.col("hashes").alias("ha")), "a")
+            .join(sets.select(F.col("id").alias("b"), F.col("hashes").alias("hb")), "b"))
+    shared = F.size(F.array_intersect("ha", "hb"))
+    union = F.size("ha") + F.size("hb") - shared
+    return both.where((shared >= F.lit(jaccard) * union) | (union == 0)).select("a", "b")
+
+
+def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int = NEAR_SHINGLE, run: int = RUN) -> DataFrame:
     """doc_id, component_id of the documents that have a near-duplicate, the class's smallest doc_id included.
 
     Two texts are near-duplicates if their sets of five-word shingles (A-Z in lower case; the whole
-    sequence if shorter) have Jaccard similarity 0.8 or more; classes are closed under links.
+    sequence if shorter) have Jaccard similarity 0.8 or more; classes are closed under links.  Every
+    pair that shares a variant and passes the filter is verified, unless verified links join it already.
     Documents whose seven fingerprints are all equal are taken as one text.  Rows without a doc_id are
     left out; repeated rows are one document.  Documents that are in no class are not returned.
     """
@@ -322,16 +410,28 @@ def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int
     base = scratch.save(fingerprints(known, shingle, LANES + 1, distinct=True), "prints")
     reps = scratch.save(base.groupBy(*names).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "reps")
     rows = variants(reps.withColumn("sketch", F.col(names[-1])), names[:LANES], SEGMENT_BITS, SEGMENTS_PER_LANE)
-    pairs = scratch.save(close_pairs(rows, SKETCH_BITS).where("a is not null").select("a", "b").distinct(), "pairs")
-    needed = scratch.save(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "needed")
+    found = scratch.save(close_pairs(rows, SKETCH_BITS, run, refine=True, keep=True), "close")
+    pairs = found.where("a is not null").select("a", "b")
+    # rows of buckets with close pairs that the forest leaves out; of runs that are too long no forest is made yet
+    rest = found.where("a is null").select("k1", "sketch", "id")
+    rest = scratch.save(rest.join(rest.groupBy("k1").agg(F.count("*").alias("n")), "k1"), "rest")
+    long = _blocks(rest.where(F.col("n") > run), run).select("k1", F.col("block").alias("k2"), "sketch", "id")
+    if long.take(1):
+        pairs = pairs.unionByName(close_pairs(long, SKETCH_BITS, 1 << 62).where("a is not null").select("a", "b"))
+    pairs = scratch.save(pairs.distinct(), "pairs")
+    needed = scratch.save(pairs.select(F.explode(F.array("a", "b")).alias("id")).unionByName(rest.select("id")).distinct(), "needed")
     texts = known.select(F.col("doc_id").alias("id"), "text").join(small_side(needed, BROADCAST_ROWS), "id")
     sets = scratch.save(shingle_sets(texts, shingle).dropDuplicates(["id"]), "sets")
-    both = (pairs.join(sets.select(F.col("id").alias("a"), F.col("hashes").alias("ha")), "a")
-            .join(sets.select(F.col("id").alias("b"), F.col("hashes").alias("hb")), "b"))
-    shared = F.size(F.array_intersect("ha", "hb"))
-    union = F.size("ha") + F.size("hb") - shared
-    edges = both.where((shared >= F.lit(jaccard) * union) | (union == 0)).select("a", "b")
+    edges = scratch.save(_similar(pairs, sets, jaccard), "similar")
     linked = scratch.save(connected_components(edges).withColumnRenamed("rid", "id"), "linked")
+    named = rest.join(small_side(linked, BROADCAST_ROWS), "id", "left").withColumn("label", F.coalesce("entity_id", "id"))
+    mixed = named.groupBy("k1").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high")
+    named = scratch.save(named.join(mixed.select("k1"), "k1", "left_semi").select("k1", "n", "sketch", "id", "label"), "mixed")
+    if named.take(1):
+        untried = scratch.save(cross_pairs(named, SKETCH_BITS, run).join(pairs, ["a", "b"], "left_anti"), "untried")
+        more = scratch.save(_similar(untried, sets, jaccard), "more")
+        if more.take(1):
+            linked = scratch.save(connected_components(edges.unionByName(more)).withColumnRenamed("rid", "id"), "linked")
     classes = scratch.save(reps.join(small_side(linked, BROADCAST_ROWS), "id", "left").where("n > 1 or entity_id is not null")
                            .select(*names, F.coalesce("entity_id", "id").alias("component_id")), "classes")
     same = base.join(small_side(classes, BROADCAST_ROWS // 4), names)

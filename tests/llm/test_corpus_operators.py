@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from sigres.llm import (catalog, crf, decontaminate, exact_dedup, html_text, language_id, mixing, pii, quality, simhash, toxicity,
                         url_filter)
+from sigres.operators.baselines import components_local
 from sigres.plans.scratch import Scratch
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, score double"
@@ -162,6 +163,48 @@ def test_near_duplicates_count_each_shingle_once(spark):
     assert got == {1: 1, 2: 1, 3: 1}
 
 
+@pytest.mark.parametrize("run", [16, simhash.RUN])
+def test_near_duplicates_in_large_buckets(spark, run):
+    # edits of one text at mixed similarity: every pair that shares a variant and passes the filter counts, not only a forest's edges
+    rng = random.Random(1)
+    word = lambda: "".join(rng.choices("abcdefghij", k=6))
+    base, texts = [word() for _ in range(400)], []
+    while len(texts) < 150:
+        new = list(base)
+        for _ in range(rng.randint(4, 10)):
+            new[rng.randrange(len(new))] = word()
+        texts.append(new)
+    rows = list(enumerate(" ".join(t) for t in texts))
+    sets = [np.unique(simhash.shingle_hashes(simhash.words_of(t), 5)) for _, t in rows]
+    prints = [[simhash.fingerprint(simhash.lane(s, j)) for j in range(7)] for s in sets]
+
+    def segments(f):
+        return [f[j] >> shift & (1 << 20) - 1 for j in range(6) for shift in (0, 20, 40)]
+
+    true = []
+    for b in range(len(rows)):
+        for a in range(b):
+            same = len(np.intersect1d(sets[a], sets[b]))
+            meet = any((x ^ y).bit_count() <= 1 for x, y in zip(segments(prints[a]), segments(prints[b])))
+            if meet and (prints[a][6] ^ prints[b][6]).bit_count() <= 18 and same >= 0.8 * (len(sets[a]) + len(sets[b]) - same):
+                true.append((a, b))
+    want = components_local(true)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r.doc_id: r.component_id for r in simhash.near_duplicates(df, run=run).collect()} == want
+
+
+def test_close_pairs_that_a_forest_leaves_out(spark):
+    # a and b differ in 2 bits, x in 1 from either: the forest is a-x-b, and verification may part x from both
+    sketches = [0, 1, 3] + [((i * 0x9E3779B97F4A7C15) % (1 << 62)) for i in range(1, 9)]
+    rows = spark.createDataFrame([(1, 0, s, i) for i, s in enumerate(sketches)], "k1 long, k2 long, sketch long, id long")
+    found = simhash.close_pairs(rows, 2, keep=True, refine=True).collect()
+    forest = {(r.a, r.b) for r in found if r.a is not None}
+    assert forest == {(0, 1), (1, 2)} and {r.id for r in found if r.a is None} == {0, 1, 2}
+    left = spark.createDataFrame([(1, 3, r.sketch, r.id, r.id) for r in found if r.a is None], "k1 long, n long, sketch long, id long, label long")
+    for run in (1, 16):
+        assert {(r.a, r.b) for r in simhash.cross_pairs(left, 2, run).collect()} == {(0, 1), (1, 2), (0, 2)}
+
+
 def test_quantiles_of_binned_counts(spark):
     rows = [(k, b, n) for k in ("x", None) for b, n in ((0, 90), (5, 5), (5, 4), (9, 1))]
     bins = spark.createDataFrame(rows, "lang string, bin long, n long")
