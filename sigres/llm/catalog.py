@@ -13,7 +13,7 @@ def _documents(spark, sf_dir):
 
 
 def op1_mixing(spark, sf_dir):
-    mixed = mixing.mix(_documents(spark, sf_dir))
+    mixed = mixing.training_order(_documents(spark, sf_dir))
     return mixed.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
 
 

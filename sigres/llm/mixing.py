@@ -129,6 +129,33 @@ def demand_inverse(share: Column, knots: Sequence[tuple[float, float]]) -> Colum
     return F.least(F.lit(knots[-1][0]), out)
 
 
+def passes(mixed: DataFrame, schedules=SCHEDULES) -> DataFrame:
+    """Rows of ``mix`` -> one row per document and pass: epoch, words and position are added."""
+    last = F.ceil(F.col("taken") / F.greatest(F.col("size"), F.lit(1))).cast("int")
+    rows = (mixed.where("taken > 0").withColumn("epoch", F.explode(F.sequence(F.lit(0), last - 1)))
+            .withColumn("words", F.least(F.col("size"), F.col("taken") - F.col("epoch") * F.col("size"))))
+    share = F.least(F.lit(1.0), (F.col("epoch") * F.col("source_size") + F.col("before") + F.col("words") / 2) / F.col("target"))
+    time = None
+    for k, knots in enumerate(schedules):
+        here = demand_inverse(share, knots)
+        time = here if time is None else F.when(F.col("at") % len(schedules) == k, here).otherwise(time)
+    return rows.withColumn("position", time)
+
+
+def training_order(docs: DataFrame, schedules=SCHEDULES, **options) -> DataFrame:
+    """The rows of ``mix`` in training order: ``taken`` summed over the passes, and ``position``, that of the first pass.
+
+    Range-partitioned and sorted by position; documents that are not taken have none and stand last.
+    """
+    mixed = Scratch(docs.sparkSession, "order").save(mix(docs, **options), "mixed")
+    # a row is known by what stands before it, as only rows without words share that and they are not taken
+    row = ["doc_id", "source", "size", "source_size", "target", "before", "at"]
+    taken = passes(mixed, schedules).groupBy(*row).agg(F.sum("words").alias("taken"), F.min("position").alias("position"))
+    idle = mixed.where("taken = 0").select(*row, "taken", F.lit(None).cast("double").alias("position"))
+    order = [F.col("position").asc_nulls_last(), F.col("doc_id")]
+    return taken.unionByName(idle).repartitionByRange(*order).sortWithinPartitions(*order)
+
+
 def curriculum(docs: DataFrame, schedules=SCHEDULES, **options) -> DataFrame:
     """The training order: one row per document and pass, sorted by time.
 
@@ -136,16 +163,7 @@ def curriculum(docs: DataFrame, schedules=SCHEDULES, **options) -> DataFrame:
     (time 0..1 at which the middle of the document is due).  Range-partitioned and sorted by
     position, so consecutive partitions are consecutive training steps.
     """
-    mixed = mix(docs, **options)
-    passes = F.ceil(F.col("taken") / F.greatest(F.col("size"), F.lit(1))).cast("int")
-    rows = (mixed.where("taken > 0").withColumn("epoch", F.explode(F.sequence(F.lit(0), passes - 1)))
-            .withColumn("words", F.least(F.col("size"), F.col("taken") - F.col("epoch") * F.col("size"))))
-    share = F.least(F.lit(1.0), (F.col("epoch") * F.col("source_size") + F.col("before") + F.col("words") / 2) / F.col("target"))
-    time = None
-    for k, knots in enumerate(schedules):
-        here = demand_inverse(share, knots)
-        time = here if time is None else F.when(F.col("at") % len(schedules) == k, here).otherwise(time)
-    return (rows.select("doc_id", "source", "epoch", "words", time.alias("position"))
+    return (passes(mix(docs, **options), schedules).select("doc_id", "source", "epoch", "words", "position")
             .repartitionByRange("position", "doc_id", "epoch").sortWithinPartitions("position", "doc_id", "epoch"))
 
 

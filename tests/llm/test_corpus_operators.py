@@ -91,6 +91,16 @@ def test_curriculum_follows_the_schedule(spark, small):
     assert rows == mixing.curriculum(docs.repartition(3)).orderBy("position", "doc_id", "epoch").collect()
 
 
+def test_mixing_query_follows_the_training_order(spark, small):
+    first = {}
+    for r in mixing.curriculum(spark.read.parquet(f"{small}/documents.parquet")).collect():
+        first[r.doc_id] = min(r.position, first.get(r.doc_id, 2.0))
+    rows = catalog.op1_mixing(spark, small).collect()
+    placed = [first.get(r.doc_id, 2.0) for r in rows]
+    assert len(first) > 100 and placed == sorted(placed)
+    assert all((r.taken > 0) == (r.doc_id in first) for r in rows)
+
+
 def test_demand_inverse(spark):
     knots = ((0.0, 0.5), (0.5, 1.0), (1.0, 1.5))
     for share in (0.0, 0.1, 0.375, 0.5, 0.9, 1.0):
