@@ -10,8 +10,10 @@ curve, fitted on the same sample, turns into the score.
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,6 +23,7 @@ from pyspark.sql import functions as F
 
 from sigres.llm import crf
 from sigres.llm.batches import map_text
+from sigres.llm.simhash import NEAR_JACCARD, NEAR_SHINGLE, shingle_hashes, words_of
 
 #: Expected number of toxic and of other documents that are learned from; bounds the sample.
 SAMPLE_TOXIC, SAMPLE_OTHER = 1000, 2000
@@ -49,23 +52,48 @@ def _marks(word: str) -> list[str]:
     return [f"w={word}", *(f"p{n}={word[:n]}" for n in (5, 6) if len(word) > n)]
 
 
+def copies(texts: list[str], least: float = NEAR_JACCARD) -> list[bool]:
+    """Whether a text repeats an earlier one that is no copy: all letters agree, or the shingle sets by ``least``.
+
+    Of two such sets some of the rarest shingles are common, so only those are looked up.
+    """
+    sets = [np.unique(shingle_hashes(words_of(t), NEAR_SHINGLE)).tolist() for t in texts]
+    often = Counter(h for s in sets for h in s)
+    have, rare, out = set(), {}, []
+    for i, (text, hashes) in enumerate(zip(texts, sets)):
+        letters = "".join(_LETTERS.findall(text.lower()))
+        first = sorted(hashes, key=lambda h: (often[h], h))[:len(hashes) - math.ceil(least * len(hashes)) + 1]
+        found, mine = letters in have, set(hashes)
+        for j in () if found else {j for h in first for j in rare.get(h, ())}:
+            shared = len(mine.intersection(sets[j]))
+            if shared >= least * (len(mine) + len(sets[j]) - shared):
+                found = True
+                break
+        if not found:
+            have.add(letters)
+            for h in first:
+                rare.setdefault(h, []).append(i)
+        out.append(found)
+    return out
+
+
 def seeds(texts: list[str], toxic: list[int]) -> set[str]:
     """Marks that are frequent in toxic documents and rare in others."""
     have: tuple[Counter, Counter] = (Counter(), Counter())
     after: dict[str, set[str]] = {}  # words before a mark: few, if a passage that documents share has it
-    begun = set()  # copies, also such as were changed later in the text, count once
+    n = [0, 0]
+    again: list[Iterator[bool]] = [iter(copies([t for t, y in zip(texts, toxic) if y == side])) for side in (0, 1)]
     for text, y in zip(texts, toxic):
-        head = (y, "".join(_LETTERS.findall(text[:120].lower())))
-        if head in begun:
+        if next(again[y]):  # copies count once
             continue
-        begun.add(head)
+        n[y] += 1
         stems = [stem(x) for x in text.split()]
         have[y].update({m for w in set(stems) if len(w) >= 3 for m in _marks(w)})
         if y:
             for before, w in zip(["", *stems], stems):
                 for m in _marks(w) if len(w) >= 3 else ():
                     after.setdefault(m, set()).add(before)
-    n = [max(1, sum(y == side for y, _ in begun)) for side in (0, 1)]
+    n = [max(1, k) for k in n]
     return {m for m, k in have[1].items()
             if k >= max(SEED_DOCS, SEED_SHARE * n[1]) and len(after[m]) >= k / 2 and (k / n[1]) / ((have[0][m] + 0.2) / n[0]) >= SEED_RATIO}
 

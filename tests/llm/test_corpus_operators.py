@@ -417,6 +417,20 @@ def test_colliding_digests(tmp_path):
 
 # ---- toxicity ----
 
+def test_seeds_of_documents_with_one_opening():
+    rng = random.Random(3)
+    words = ["".join(rng.choices("abcdefgh", k=7)) for _ in range(400)]
+    head = " ".join(words[:30])
+    toxic = [f"{head} {' '.join(rng.choices(words, k=60))} grumblewort {' '.join(rng.choices(words, k=60))}" for _ in range(12)]
+    clean = [f"{head} {' '.join(rng.choices(words, k=120))}" for _ in range(60)]
+    assert "w=grumblewort" in toxicity.seeds(toxic + clean, [1] * 12 + [0] * 60)
+    # one document in twelve nearly equal copies is one document
+    one = toxic[0].split()
+    same = [" ".join(one[:-1] + [words[i]]) for i in range(12)]
+    assert toxicity.copies(same) == [False] + [True] * 11
+    assert "w=grumblewort" not in toxicity.seeds(same + clean, [1] * 12 + [0] * 60)
+
+
 def test_toxicity(spark, odd, none):
     rng = random.Random(9)
     plain = lambda n: [f"w{rng.randrange(400)}" for _ in range(n)]
