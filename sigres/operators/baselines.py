@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterable, Iterator
 
+import pyarrow as pa
 from pyspark.ml.classification import GBTClassifier, LinearSVC
 from pyspark.ml.feature import VectorAssembler
 from pyspark.sql import Column, DataFrame, Window
@@ -186,7 +188,16 @@ def components_minlabel(edges: DataFrame, frontier: bool = False) -> DataFrame:
         now = then
 
 
-def components_local(edges: list[tuple[int, int]]) -> dict[int, int]:
+def components_merged(edges: DataFrame) -> dict[int, int]:
+    """Union-find in every partition, then on the driver over the partitions' forests; all edges (a, b) count."""
+    def forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found = components_local((a, b) for batch in batches for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+        yield pa.RecordBatch.from_arrays([pa.array(list(found.keys()), pa.int64()), pa.array(list(found.values()), pa.int64())], names=["a", "b"])
+
+    return components_local((r.a, r.b) for r in edges.select("a", "b").mapInArrow(forest, "a long, b long").toLocalIterator())
+
+
+def components_local(edges: Iterable[tuple[int, int]]) -> dict[int, int]:
     """Union-find on the driver, for small graphs and as a reference in tests."""
     up: dict[int, int] = {}
 

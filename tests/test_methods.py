@@ -11,6 +11,7 @@ from sigres.functions.text import is_run, is_subrecord, words
 from sigres.operators import baselines, candidates, index, pairs, resolve, verify, world
 from sigres.operators.components import Trace, connected_components
 from sigres.operators.resolve import Config
+from sigres.plans import comparisons
 from sigres.sources import fixtures as fx
 
 
@@ -169,3 +170,11 @@ def test_entry_without_corpus_operators(spark, small):
     import __spark_entry__
     assert __spark_entry__.entry(spark).count() > 0
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_local_components_of_many_edges(spark, monkeypatch):
+    # a path of 200,100 edges is one component
+    path = spark.range(200_100).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
+    monkeypatch.setattr(comparisons.fx, "bipartite_edges", lambda s, d: path)
+    got = comparisons.QUERIES["b13_local"](spark, "").groupBy("entity_id").count().collect()
+    assert [(r.entity_id, r["count"]) for r in got] == [(0, 200_101)]
