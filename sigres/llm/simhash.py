@@ -15,12 +15,12 @@ Two settings are used.
 
 Skew: copies collapse to one fingerprint before anything is emitted.  A bucket of one variant is a
 run of sorted rows that a worker streams; of a large bucket a minimum spanning forest of close
-fingerprints leaves the worker first, not all pairs.  In the exact setting, where closeness decides, a
+fingerprints leaves the worker, not all pairs.  In the exact setting, where closeness decides, a
 run that passes ``RUN`` rows is not held but sent on with more of its bits known; at the third level a
-bucket cannot have more than 2,048 different fingerprints.  In the other setting the forest only gathers
-classes, since shingle sets decide: rows of a bucket with close pairs outside the forest are kept, and
-when the forest is verified their close pairs of different classes are all compared, a bucket of over
-``RUN`` rows as pairs of blocks.
+bucket cannot have more than 2,048 different fingerprints.  In the other setting a run above ``RUN`` rows
+is dealt anew as pairs of blocks.  There shingle sets decide, so a forest only gathers candidates: classes
+of linked texts that a pair of similarity 0.5 or more connects are a cluster, and members of different
+classes of a cluster are compared in blocks.  No pair leaves a worker but a forest of the links.
 """
 
 from __future__ import annotations
@@ -29,6 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -45,6 +46,8 @@ NEAR_SHINGLE, NEAR_JACCARD = 5, 0.8
 SEGMENT_BITS, SEGMENTS_PER_LANE, LANES = 20, 3, 6
 #: Differing bits of 64 that the filter lets pass: Jaccard 0.8 has 9.7 on average, deviation 2.9.
 SKETCH_BITS = 18
+#: Similarity of a verified pair from which on the classes of its ends are compared member by member, and documents of a block that is compared.
+FLOOR, BLOCK = 0.5, 256
 #: Rows of a bucket that a worker holds.
 RUN = 4096
 #: Rows up to which an id table is broadcast (about 16 bytes each).
@@ -121,42 +124,38 @@ def variants(nodes: DataFrame, lanes: list[str], bits: int, per_lane: int) -> Da
             .select(key.alias("k1"), F.lit(0).cast("long").alias("k2"), "sketch", "id"))
 
 
-def _spanning(sketch: np.ndarray, ids: np.ndarray, most: int) -> tuple[list[tuple[int, int]], np.ndarray]:
-    """Edges of a minimum spanning forest over pairs that differ in ``most`` bits or fewer, and a mask
-    of the rows in trees that leave out such pairs."""
+def _spanning(sketch: np.ndarray, ids: np.ndarray, most: int) -> list[tuple[int, int]]:
+    """Edges of a minimum spanning forest over pairs that differ in ``most`` bits or fewer.
+
+    On the forest's path between two such rows no edge differs in more bits than they do.
+    """
     n = len(ids)
-    tree, forest = np.zeros(n, np.int64), []
+    forest: list[tuple[int, int]] = []
     if n <= 512 and (np.bitwise_count(sketch[:, None] ^ sketch[None, :]) <= most).sum() == n:
-        return forest, np.zeros(n, bool)
+        return forest
     best, parent = np.full(n, 255, np.uint8), np.zeros(n, np.int64)
-    open_, spare = np.ones(n, bool), [0]  # close pairs of each tree that are not its edges
+    open_ = np.ones(n, bool)
     for _ in range(n):
         rank = np.where(open_, best, 255)
         at = int(rank.argmin())
         if not open_[at] or best[at] > most:
             at = int(open_.argmax())
-            spare.append(0)
         else:
             forest.append((int(ids[parent[at]]), int(ids[at])))
-            spare[-1] -= 1
-        open_[at], tree[at] = False, len(spare) - 1
+        open_[at] = False
         d = np.bitwise_count(sketch ^ sketch[at])
-        spare[-1] += int((open_ & (d <= most)).sum())
         nearer = open_ & (d < best)
         best[nearer], parent[nearer] = d[nearer], at
-    return forest, np.array(spare)[tree] > 0
+    return forest
 
 
-def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool, keep: bool) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (k1, k2) -> edges (a, b), and rows that are sent on: (k1, k2, sketch, id).
+def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by (k1, k2) -> edges (a, b), and with ``refine`` rows of runs that are too long: (k1, k2, sketch, id).
 
-    Sent on are rows of runs that are too long, and with ``keep`` those whose forest leaves out close
-    pairs.  Edges that a worker has just sent are not sent again.
+    Edges that a worker has just sent are not sent again.
     """
     schema = pa.schema([(n, pa.int64()) for n in ("a", "b", "k1", "k2", "sketch", "id")])
     edges: set[tuple[int, int]] = set()
-    kept: list[list[np.ndarray]] = []
-    seen: set[bytes] = set()  # sets of rows kept; in another bucket the same rows have the same pairs
 
     def sent(rows=None):
         n = len(edges)
@@ -186,18 +185,7 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool,
                 link(ids[i], ids[i + d])
         for r in np.flatnonzero(size > 9):
             part = slice(start[r], start[r] + size[r])
-            forest, tangled = _spanning(bits[part], ids[part], most)
-            edges.update((min(e), max(e)) for e in forest)
-            if keep and tangled.any():
-                of = xxhash.xxh3_128_digest(np.sort(ids[part][tangled]).tobytes())
-                if of not in seen:
-                    seen.add(of)
-                    kept.append([c[part][tangled] for c in (k1, k2, sketch, ids)])
-        if sum(len(c[0]) for c in kept) > 50_000:
-            yield from sent([np.concatenate(c) for c in zip(*kept)])
-            kept.clear()
-        if len(seen) > 200_000:
-            seen.clear()
+            edges.update((min(e), max(e)) for e in _spanning(bits[part], ids[part], most))
 
     held: list[tuple[np.ndarray, ...]] = []
     count, over = 0, None  # rows held; the key of a run that is passed on
@@ -228,13 +216,13 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool,
                     yield from sent([c[long] for c in whole])
                     whole = [c[~long] for c in whole]
             if len(whole[0]):
-                yield from settle(*whole)
+                settle(*whole)
         held, count = [tuple(tail)], len(tail[0])
         if refine and count > run:
             yield from sent(tail)
             held, count, over = [], 0, last
         elif count > run:
-            forest, _ = _spanning(tail[2].view(np.uint64), tail[3], most)
+            forest = _spanning(tail[2].view(np.uint64), tail[3], most)
             edges.update((min(e), max(e)) for e in forest)
             roots = ~np.isin(tail[3], np.array([b for _, b in forest], np.int64))
             held = [tuple(c[roots] for c in tail)]
@@ -242,74 +230,27 @@ def _close(batches: Iterator[pa.RecordBatch], most: int, run: int, refine: bool,
         if len(edges) > 200_000:
             yield from sent()
     if held and count:
-        yield from settle(*held[0])
-    yield from sent([np.concatenate(c) for c in zip(*kept)] if kept else None)
+        settle(*held[0])
+    yield from sent()
 
 
 _CLOSE = "a long, b long, k1 long, k2 long, sketch long, id long"
 
 
-def close_pairs(rows: DataFrame, most: int, run: int = RUN, refine: bool = False, keep: bool = False) -> DataFrame:
+def close_pairs(rows: DataFrame, most: int, run: int = RUN, refine: bool = False) -> DataFrame:
     """Edges between ids that meet in a bucket and differ in ``most`` bits of their sketch or fewer."""
     return (rows.repartition("k1", "k2").sortWithinPartitions("k1", "k2")
-            .mapInArrow(lambda batches: _close(batches, most, run, refine, keep), _CLOSE))
-
-
-def _cross(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (k1, first, second) -> all close pairs (a, b) of different labels.
-
-    Where the blocks first and second differ, only pairs of one row of each are compared.
-    """
-    names, pairs = ("k1", "first", "second", "block", "sketch", "id", "label"), set()
-
-    def sent():
-        cols = [np.fromiter((e[i] for e in pairs), np.int64, len(pairs)) for i in (0, 1)]
-        pairs.clear()
-        return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["a", "b"])
-
-    def settle(cols):
-        _, first, second, block, sketch, ids, label = cols
-        bits, n = sketch.view(np.uint64), len(ids)
-        for at in range(0, n, 256):
-            rows = slice(at, at + 256)
-            hit = (np.bitwise_count(bits[rows, None] ^ bits[None, :]) <= most) & (label[rows, None] != label[None, :])
-            hit &= ids[rows, None] < ids[None, :]
-            if first[0] != second[0]:
-                hit &= block[rows, None] != block[None, :]
-            i, j = np.nonzero(hit)
-            pairs.update(zip(ids[at + i].tolist(), ids[j].tolist()))
-            if len(pairs) > 200_000:
-                yield sent()
-
-    held = None
-    for batch in batches:
-        cols = [batch.column(n).to_numpy() for n in names]
-        if not len(cols[0]):
-            continue
-        if held is not None:
-            cols = [np.concatenate(c) for c in zip(held, cols)]
-        start = np.flatnonzero(np.r_[True, np.any([c[1:] != c[:-1] for c in cols[:3]], axis=0)])
-        for a, b in zip(start, start[1:]):
-            yield from settle([c[a:b] for c in cols])
-        held = [c[start[-1]:] for c in cols]
-    if held is not None:
-        yield from settle(held)
-    yield sent()
-
-
-def _blocks(rows: DataFrame, run: int) -> DataFrame:
-    """Rows with ``n``, the size of their bucket: add ``blocks`` and ``block``, about half of ``run`` rows each if n is above ``run``."""
-    blocks = F.when(F.col("n") > run, F.ceil(F.col("n") * 2 / run)).otherwise(1).cast("long")
-    return rows.withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+            .mapInArrow(lambda batches: _close(batches, most, run, refine), _CLOSE))
 
 
-def cross_pairs(rows: DataFrame, most: int, run: int = RUN) -> DataFrame:
-    """(k1, n, sketch, id, label) -> close pairs (a, b) of one bucket and different labels, none left out."""
+def _block_pairs(rows: DataFrame, run: int) -> DataFrame:
+    """(k1, sketch, id) of buckets above ``run`` rows -> a bucket (k1, k2) for each two of their blocks of about half of ``run`` rows."""
+    size = rows.groupBy("k1").agg(F.count("*").alias("n"))
+    blocks = F.ceil(F.col("n") * 2 / run).cast("long")
+    rows = rows.join(size, "k1").withColumn("blocks", F.greatest(blocks, F.lit(2))).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
     other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other")
-    met = _blocks(rows, run).select("k1", "sketch", "id", "label", "block", other)
-    met = met.select("k1", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"), "block", "sketch", "id", "label")
-    keys = ["k1", "first", "second"]
-    return met.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(lambda batches: _cross(batches, most), "a long, b long").distinct()
+    met = rows.select("k1", "sketch", "id", "blocks", "block", other).where("block <> other")
+    return met.select("k1", (F.least("block", "other") * F.col("blocks") + F.greatest("block", "other")).alias("k2"), "sketch", "id")
 
 
 def _refined(rows: DataFrame, level: int) -> DataFrame:
@@ -386,23 +327,110 @@ def shingle_sets(docs: DataFrame, n: int) -> DataFrame:
     return map_text(docs, run, "id long, hashes array<long>")
 
 
-def _similar(pairs: DataFrame, sets: DataFrame, jaccard: float) -> DataFrame:
-    """The pairs (a, b) whose shingle sets have this Jaccard similarity or more."""
+def _judged(pairs: DataFrame, sets: DataFrame, jaccard: float, floor: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets have similarity ``floor`` or more, and whether it is ``jaccard`` or more."""
     both = (pairs.join(sets.select(F.col("id").alias("a"), F.col("hashes").alias("ha")), "a")
             .join(sets.select(F.col("id").alias("b"), F.col("hashes").alias("hb")), "b"))
     shared = F.size(F.array_intersect("ha", "hb"))
-    union = F.size("ha") + F.size("hb") - shared
-    return both.where((shared >= F.lit(jaccard) * union) | (union == 0)).select("a", "b")
+    both = both.select("a", "b", shared.alias("shared"), (F.size("ha") + F.size("hb")).alias("total"))
+    at_least = lambda least: (F.col("shared") >= F.lit(least) * (F.col("total") - F.col("shared"))) | (F.col("total") == 0)
+    return both.where(at_least(floor)).select("a", "b", at_least(jaccard).alias("linked"))
 
 
-def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int = NEAR_SHINGLE, run: int = RUN) -> DataFrame:
+def _labelled(ids: DataFrame, edges: DataFrame, scratch: Scratch) -> DataFrame:
+    """(id) and links (a, b) -> (id, label): the smallest id that links reach."""
+    linked = scratch.save(connected_components(edges).withColumnRenamed("rid", "id"), "linked")
+    return ids.join(small_side(linked, BROADCAST_ROWS), "id", "left").select("id", F.coalesce("entity_id", "id").alias("label"))
+
+
+def _compare(batches: Iterator[pa.RecordBatch], jaccard: float) -> Iterator[pa.RecordBatch]:
+    """Rows (cluster, first, second, block, id, label, hashes) sorted by the first three -> links (a, b) of labels.
+
+    Pairs of one row of each block, or of one block if first and second are the same; of the links
+    that join the same labels a spanning forest is sent.
+    """
+    keys = ("cluster", "first", "second")
+
+    def settle(part: pa.Table):
+        first, second, block, label = (part.column(n).to_numpy() for n in ("first", "second", "block", "label"))
+        hashes = part.column("hashes").combine_chunks()
+        sizes = pa.compute.list_value_length(hashes).to_numpy(zero_copy_only=False).astype(np.int64)
+        values, owner = hashes.flatten().to_numpy(), np.repeat(np.arange(len(sizes)), sizes)
+        _, at, often = np.unique(values, return_inverse=True, return_counts=True)
+        met = often[at] > 1  # a shingle of one text adds nothing to what two texts share
+        owner, at = owner[met], at[met]
+        _, at = np.unique(at, return_inverse=True)
+        x = np.flatnonzero(block == first[0])
+        y = np.flatnonzero(block == second[0])
+        shared = np.zeros((len(x), len(y)))
+        order = np.argsort(at, kind="stable")
+        owner, at = owner[order], at[order]
+        for low in range(0, int(at[-1]) + 1 if len(at) else 0, 4096):
+            some = slice(*np.searchsorted(at, [low, low + 4096]))
+            has = np.zeros((len(sizes), 4096), np.float32)
+            has[owner[some], at[some] - low] = 1
+            shared += has[x] @ has[y].T
+        total = sizes[x][:, None] + sizes[y][None, :]
+        i, j = np.nonzero((shared >= jaccard * (total - shared)) & (label[x][:, None] != label[y][None, :]))
+        joined = np.unique(np.sort(np.stack([label[x[i]], label[y[j]]], 1), axis=1), axis=0)
+        up: dict[int, int] = {}
+
+        def root(v):
+            while up.setdefault(v, v) != v:
+                v = up[v]
+            return v
+        out = []
+        for a, b in joined.tolist():
+            ra, rb = root(a), root(b)
+            if ra != rb:
+                up[max(ra, rb)] = min(ra, rb)
+                out.append((a, b))
+        return pa.RecordBatch.from_arrays([pa.array([e[i] for e in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
+
+    held = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        rows = pa.Table.from_batches([batch])
+        if held is not None:
+            rows = pa.concat_tables([held, rows])
+        cols = [rows.column(n).to_numpy() for n in keys]
+        start = np.flatnonzero(np.r_[True, np.any([c[1:] != c[:-1] for c in cols], axis=0)])
+        for a, b in zip(start, start[1:]):
+            yield settle(rows.slice(a, b - a))
+        held = rows.slice(start[-1])
+    if held is not None:
+        yield settle(held)
+
+
+def _across(members: DataFrame, sets: DataFrame, jaccard: float, scratch: Scratch, block: int = BLOCK) -> DataFrame:
+    """(cluster, id, label) -> links (a, b) between labels of one cluster, by comparing all its members of different labels.
+
+    The cluster's largest class and all its other members are cut into blocks; blocks of the largest
+    class meet those of the others, and the others' blocks each other.
+    """
+    sizes = scratch.save(members.groupBy("cluster", "label").agg(F.count("*").alias("n")), "sizes")
+    top = sizes.groupBy("cluster").agg(F.sum("n").alias("n"), F.max(F.struct("n", "label")).alias("top")).where("n > 2 and top.n < n")
+    top = top.select("cluster", F.col("top.label").alias("top"), F.ceil(F.col("top.n") / block).alias("tops"), F.ceil((F.col("n") - F.col("top.n")) / block).alias("rests"))
+    rows = members.join(small_side(scratch.save(top, "tops"), BROADCAST_ROWS // 4), "cluster")
+    mine = F.col("label") == F.col("top")
+    place = F.when(mine, F.pmod(F.xxhash64("id"), F.col("tops"))).otherwise(F.col("tops") + F.pmod(F.xxhash64("id"), F.col("rests")))
+    other = F.explode(F.sequence(F.when(mine, F.col("tops")).otherwise(F.lit(0).cast("long")), F.col("tops") + F.col("rests") - 1))
+    rows = scratch.save(rows.select("cluster", "id", "label", place.alias("block"), other.alias("other")), "blocks")
+    keys = ["cluster", "first", "second"]
+    rows = rows.join(sets, "id").select("cluster", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"), "block", "id", "label", "hashes")
+    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(lambda batches: _compare(batches, jaccard), "a long, b long")
+
+
+def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int = NEAR_SHINGLE, run: int = RUN, block: int = BLOCK) -> DataFrame:
     """doc_id, component_id of the documents that have a near-duplicate, the class's smallest doc_id included.
 
     Two texts are near-duplicates if their sets of five-word shingles (A-Z in lower case; the whole
     sequence if shorter) have Jaccard similarity 0.8 or more; classes are closed under links.  Every
-    pair that shares a variant and passes the filter is verified, unless verified links join it already.
-    Documents whose seven fingerprints are all equal are taken as one text.  Rows without a doc_id are
-    left out; repeated rows are one document.  Documents that are in no class are not returned.
+    pair that shares a variant and passes the filter is in one cluster of candidates, and all members
+    of a cluster that are not linked yet are compared by their sets.  Documents whose seven fingerprints
+    are all equal are taken as one text.  Rows without a doc_id are left out; repeated rows are one
+    document, which of several texts has the smallest set.  Documents that are in no class are not returned.
     """
     scratch = Scratch(docs.sparkSession, "near")
     names = [f"f{j}" for j in range(LANES + 1)]
@@ -410,29 +438,31 @@ def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int
     base = scratch.save(fingerprints(known, shingle, LANES + 1, distinct=True), "prints")
     reps = scratch.save(base.groupBy(*names).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "reps")
     rows = variants(reps.withColumn("sketch", F.col(names[-1])), names[:LANES], SEGMENT_BITS, SEGMENTS_PER_LANE)
-    found = scratch.save(close_pairs(rows, SKETCH_BITS, run, refine=True, keep=True), "close")
+    found = scratch.save(close_pairs(rows, SKETCH_BITS, run, refine=True), "close")
     pairs = found.where("a is not null").select("a", "b")
-    # rows of buckets with close pairs that the forest leaves out; of runs that are too long no forest is made yet
-    rest = found.where("a is null").select("k1", "sketch", "id")
-    rest = scratch.save(rest.join(rest.groupBy("k1").agg(F.count("*").alias("n")), "k1"), "rest")
-    long = _blocks(rest.where(F.col("n") > run), run).select("k1", F.col("block").alias("k2"), "sketch", "id")
+    long = found.where("a is null").select("k1", "sketch", "id")
     if long.take(1):
-        pairs = pairs.unionByName(close_pairs(long, SKETCH_BITS, 1 << 62).where("a is not null").select("a", "b"))
+        pairs = pairs.unionByName(close_pairs(_block_pairs(long, run), SKETCH_BITS, 1 << 62).where("a is not null").select("a", "b"))
     pairs = scratch.save(pairs.distinct(), "pairs")
-    needed = scratch.save(pairs.select(F.explode(F.array("a", "b")).alias("id")).unionByName(rest.select("id")).distinct(), "needed")
+    needed = scratch.save(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "needed")
     texts = known.select(F.col("doc_id").alias("id"), "text").join(small_side(needed, BROADCAST_ROWS), "id")
-    sets = scratch.save(shingle_sets(texts, shingle).dropDuplicates(["id"]), "sets")
-    edges = scratch.save(_similar(pairs, sets, jaccard), "similar")
-    linked = scratch.save(connected_components(edges).withColumnRenamed("rid", "id"), "linked")
-    named = rest.join(small_side(linked, BROADCAST_ROWS), "id", "left").withColumn("label", F.coalesce("entity_id", "id"))
-    mixed = named.groupBy("k1").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high")
-    named = scratch.save(named.join(mixed.select("k1"), "k1", "left_semi").select("k1", "n", "sketch", "id", "label"), "mixed")
-    if named.take(1):
-        untried = scratch.save(cross_pairs(named, SKETCH_BITS, run).join(pairs, ["a", "b"], "left_anti"), "untried")
-        more = scratch.save(_similar(untried, sets, jaccard), "more")
+    sets = scratch.save(shingle_sets(texts, shingle).groupBy("id").agg(F.min("hashes").alias("hashes")), "sets")
+    judged = scratch.save(_judged(pairs, sets, jaccard, FLOOR), "judged")
+    edges = judged.where("linked").select("a", "b")
+    labels = scratch.save(_labelled(needed, edges, scratch), "labels")
+    # classes that a similar pair connects without linking them are one cluster
+    of = lambda end: small_side(labels, BROADCAST_ROWS).select(F.col("id").alias(end), F.col("label").alias(f"{end}_label"))
+    weak = judged.where("not linked").join(of("a"), "a").join(of("b"), "b").where("a_label <> b_label")
+    weak = scratch.save(weak.select(F.col("a_label").alias("a"), F.col("b_label").alias("b")).distinct(), "weak")
+    if weak.take(1):
+        clusters = scratch.save(connected_components(weak).select(F.col("rid").alias("label"), F.col("entity_id").alias("cluster")), "clusters")
+        members = scratch.save(labels.join(small_side(clusters, BROADCAST_ROWS), "label"), "members")
+        more = scratch.save(_across(members, sets, jaccard, scratch, block), "more")
         if more.take(1):
-            linked = scratch.save(connected_components(edges.unionByName(more)).withColumnRenamed("rid", "id"), "linked")
-    classes = scratch.save(reps.join(small_side(linked, BROADCAST_ROWS), "id", "left").where("n > 1 or entity_id is not null")
-                           .select(*names, F.coalesce("entity_id", "id").alias("component_id")), "classes")
+            labels = scratch.save(_labelled(needed, edges.unionByName(more), scratch), "labels")
+    sizes = labels.groupBy("label").agg(F.count("*").alias("m")).where("m > 1").select("label")
+    linked = scratch.save(labels.join(sizes, "label", "left_semi"), "classes")
+    classes = scratch.save(reps.join(small_side(linked, BROADCAST_ROWS), "id", "left").where("n > 1 or label is not null")
+                           .select(*names, F.coalesce("label", "id").alias("component_id")), "named")
     same = base.join(small_side(classes, BROADCAST_ROWS // 4), names)
     return same.select("doc_id", "component_id")

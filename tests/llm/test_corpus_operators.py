@@ -173,9 +173,15 @@ def test_near_duplicates_count_each_shingle_once(spark):
     assert got == {1: 1, 2: 1, 3: 1}
 
 
-@pytest.mark.parametrize("run", [16, simhash.RUN])
-def test_near_duplicates_in_large_buckets(spark, run):
-    # edits of one text at mixed similarity: every pair that shares a variant and passes the filter counts, not only a forest's edges
+def jaccard_links(sets, least=0.8):
+    """All links of brute force."""
+    return [(a, b) for b in range(len(sets)) for a in range(b)
+            if (same := len(np.intersect1d(sets[a], sets[b]))) >= least * (len(sets[a]) + len(sets[b]) - same)]
+
+
+@pytest.mark.parametrize("run,block", [(16, 8), (simhash.RUN, simhash.BLOCK)])
+def test_near_duplicates_in_large_buckets(spark, run, block):
+    # edits of one text at mixed similarity: all links of brute force count, not only a forest's edges
     rng = random.Random(1)
     word = lambda: "".join(rng.choices("abcdefghij", k=6))
     base, texts = [word() for _ in range(400)], []
@@ -186,33 +192,56 @@ def test_near_duplicates_in_large_buckets(spark, run):
         texts.append(new)
     rows = list(enumerate(" ".join(t) for t in texts))
     sets = [np.unique(simhash.shingle_hashes(simhash.words_of(t), 5)) for _, t in rows]
-    prints = [[simhash.fingerprint(simhash.lane(s, j)) for j in range(7)] for s in sets]
-
-    def segments(f):
-        return [f[j] >> shift & (1 << 20) - 1 for j in range(6) for shift in (0, 20, 40)]
-
-    true = []
-    for b in range(len(rows)):
-        for a in range(b):
-            same = len(np.intersect1d(sets[a], sets[b]))
-            meet = any((x ^ y).bit_count() <= 1 for x, y in zip(segments(prints[a]), segments(prints[b])))
-            if meet and (prints[a][6] ^ prints[b][6]).bit_count() <= 18 and same >= 0.8 * (len(sets[a]) + len(sets[b]) - same):
-                true.append((a, b))
-    want = components_local(true)
+    want = components_local(jaccard_links(sets))
+    assert 20 < len(want) and len(set(want.values())) < 150
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r.doc_id: r.component_id for r in simhash.near_duplicates(df, run=run, block=block).collect()} == want
+
+
+def test_recall_by_size_of_class(spark):
+    rng = random.Random(6)
+    word = lambda: "".join(rng.choices("abcdefghij", k=5))
+    texts = []
+    for size in [2] * 60 + [5] * 20 + [14] * 6 + [40] * 3:
+        base = [word() for _ in range(150)]
+        for _ in range(size):
+            new = list(base)
+            for _ in range(rng.randint(0, 4)):
+                new[rng.randrange(len(new))] = word()
+            texts.append(new)
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    sets = [np.unique(simhash.shingle_hashes(simhash.words_of(t), 5)) for _, t in rows]
+    want = components_local(jaccard_links(sets))
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    sizes = {}
+    for i, c in want.items():
+        sizes.setdefault(c, []).append(i)
+    for low, high in ((2, 4), (5, 13), (14, 39), (40, 10**6)):
+        gone = [i for c, m in sizes.items() if low <= len(m) <= high for i in m if i != c]
+        assert sum(got.get(i, i) != i for i in gone) >= 0.97 * len(gone)
+    assert all(want.get(i) == want.get(c) for i, c in got.items())
+
+
+def test_links_across_classes_that_no_forest_has(spark):
+    # a and b are alike, x is between them and like neither: only the comparison inside the cluster joins a and b
+    whole = list(range(100))
+    sets = {1: whole, 2: whole[:95], 3: whole[:60] + list(range(200, 240)), 4: whole[:95] + [500], 5: list(range(900, 950))}
+    df = spark.createDataFrame([(i, sorted(h)) for i, h in sets.items()], "id long, hashes array<long>")
+    members = spark.createDataFrame([(1, i, i) for i in sets], "cluster long, id long, label long")
+    want = {frozenset(e) for e in ((1, 2), (1, 4), (2, 4))}
+    for block in (1, 2, 256):
+        got = {frozenset((r.a, r.b)) for r in simhash._across(members, df, 0.8, Scratch(spark, "t"), block).collect()}
+        assert got <= want and components_local([tuple(e) for e in got]) == {1: 1, 2: 1, 4: 1}
+    one = members.withColumn("label", F.lit(1).cast("long"))
+    assert simhash._across(one, df, 0.8, Scratch(spark, "t")).count() == 0
+
+
+def test_repeated_ids_with_different_texts(spark):
+    texts = [" ".join(f"{p}{i}" for i in range(60)) for p in "ab"]
+    rows = [(1, texts[0]), (1, texts[1]), (2, texts[1]), (3, texts[0] + " more")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    assert {r.doc_id: r.component_id for r in simhash.near_duplicates(df, run=run).collect()} == want
-
-
-def test_close_pairs_that_a_forest_leaves_out(spark):
-    # a and b differ in 2 bits, x in 1 from either: the forest is a-x-b, and verification may part x from both
-    sketches = [0, 1, 3] + [((i * 0x9E3779B97F4A7C15) % (1 << 62)) for i in range(1, 9)]
-    rows = spark.createDataFrame([(1, 0, s, i) for i, s in enumerate(sketches)], "k1 long, k2 long, sketch long, id long")
-    found = simhash.close_pairs(rows, 2, keep=True, refine=True).collect()
-    forest = {(r.a, r.b) for r in found if r.a is not None}
-    assert forest == {(0, 1), (1, 2)} and {r.id for r in found if r.a is None} == {0, 1, 2}
-    left = spark.createDataFrame([(1, 3, r.sketch, r.id, r.id) for r in found if r.a is None], "k1 long, n long, sketch long, id long, label long")
-    for run in (1, 16):
-        assert {(r.a, r.b) for r in simhash.cross_pairs(left, 2, run).collect()} == {(0, 1), (1, 2), (0, 2)}
+    one = sorted(tuple(r) for r in simhash.near_duplicates(df).collect())
+    assert one == sorted(tuple(r) for r in simhash.near_duplicates(df.orderBy(F.desc("doc_id"), F.desc("text")).repartition(3)).collect())
 
 
 def test_quantiles_of_binned_counts(spark):
