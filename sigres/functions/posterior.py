@@ -48,10 +48,17 @@ def posterior_power(k: Column, alpha: float, c0: float) -> Column:
     return F.least(F.lit(1.0), c0 * F.pow(k.cast("double"), F.lit(-alpha)))
 
 
+def ln_factorial(k: Column) -> Column:
+    """ln k! of a column: a product below 16, Stirling's series from there on (its error is below 1e-11)."""
+    x = F.greatest(k, F.lit(16)).cast("double")
+    series = x * F.ln(x) - x + 0.5 * F.ln(2 * math.pi * x) + 1 / (12 * x) - 1 / (360 * x * x * x) + 1 / (1260 * F.pow(x, F.lit(5.0)))
+    small = F.element_at(F.array(*[F.lit(math.lgamma(i + 1)) for i in range(16)]), F.least(F.greatest(k, F.lit(0)), F.lit(15)).cast("int") + 1)
+    return F.when(k < 16, small).otherwise(series)
+
+
 def posterior_low_mean(k: Column, lam: float) -> Column:
     """The mass of a Poisson law with mean below 1, relative to its mass at k = 1."""
-    ln_factorial = F.aggregate(F.sequence(F.lit(1), F.greatest(k.cast("int"), F.lit(1))), F.lit(0.0), lambda s, i: s + F.ln(i.cast("double")))
-    return F.exp((k - 1) * math.log(lam) - ln_factorial)
+    return F.exp((k - 1) * math.log(lam) - ln_factorial(k))
 
 
 def k_max(rho: float, a: float, b: float) -> int:

@@ -17,6 +17,8 @@ from sigres.plans.scratch import Scratch
 
 #: Records beyond which exhaustive comparison is refused.
 ALL_PAIRS_ROWS = 20_000
+#: Pairs of all buckets beyond which banded hashing is refused.
+MINHASH_PAIRS = 2_000_000_000
 
 
 def _sides(records: DataFrame, cols: list[str]) -> tuple[DataFrame, DataFrame]:
@@ -68,6 +70,30 @@ def distance_link(vectors: DataFrame, least: float) -> DataFrame:
     return all_pairs(vectors.withColumn("source", F.lit(0)), lambda x, y: cosine(F.col(f"{x}_v"), F.col(f"{y}_v")) >= least, ["v"])
 
 
+def jaccard_link(records: DataFrame, items: Column, least: float) -> DataFrame:
+    """All pairs whose sets of items have Jaccard similarity ``least`` or more, without comparing every pair.
+
+    Items stand in order of how rare they are; two such sets have a common item among the first
+    n - ceil(least n) + 1 of each, so only those are joined.  Equal sets are one until the end.  Empty sets link to nothing.
+    """
+    scratch = Scratch(records.sparkSession, "jaccard")
+    own = scratch.save(records.select("rid", F.array_sort(F.array_distinct(items)).alias("v")).where(F.size("v") > 0), "sets")
+    sets = scratch.save(own.groupBy("v").agg(F.min("rid").alias("id")), "distinct")
+    each = sets.select("id", F.size("v").alias("n"), F.explode("v").alias("w"))
+    often = scratch.save(each.groupBy("w").agg(F.count("*").alias("c")), "often")
+    ranked = each.join(often, "w").groupBy("id", "n").agg(F.array_sort(F.collect_list(F.struct("c", "w"))).alias("r"))
+    prefix = (F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1).cast("int")
+    first = scratch.save(ranked.select("id", "n", F.explode(F.slice("r", F.lit(1), prefix)).alias("x")).select("id", "n", "x.w"), "prefixes")
+    x, y = first.select("w", F.col("id").alias("a"), F.col("n").alias("na")), first.select("w", F.col("id").alias("b"), F.col("n").alias("nb"))
+    close = x.join(y, "w").where((F.col("a") < F.col("b")) & (F.least("na", "nb") >= F.lit(least) * F.greatest("na", "nb"))).select("a", "b").distinct()
+    side = lambda k, v: sets.select(F.col("id").alias(k), F.col("v").alias(v))
+    close = close.join(side("a", "va"), "a").join(side("b", "vb"), "b").where(jaccard(F.col("va"), F.col("vb")) >= least)
+    close = scratch.save(close.select("va", "vb").unionByName(sets.select(F.col("v").alias("va"), F.col("v").alias("vb"))), "close")
+    left, right = own.select(F.col("rid").alias("p"), F.col("v").alias("va")), own.select(F.col("rid").alias("q"), F.col("v").alias("vb"))
+    both = close.join(left, "va").join(right, "vb").where((F.col("p") != F.col("q")) & ((F.col("va") != F.col("vb")) | (F.col("p") < F.col("q"))))
+    return both.select(F.least("p", "q").alias("lo"), F.greatest("p", "q").alias("hi"))
+
+
 def nearest_link(pairs: DataFrame, n: int = 1) -> DataFrame:
     """(lo, hi, sim) -> the n most similar partners of each record, as (lo, hi)."""
     both = pairs.select("lo", "hi", "sim").unionByName(pairs.select(F.col("hi").alias("lo"), F.col("lo").alias("hi"), "sim"))
@@ -77,15 +103,24 @@ def nearest_link(pairs: DataFrame, n: int = 1) -> DataFrame:
 
 
 def minhash_link(records: DataFrame, grams: Column, least: float, bands: int = 12, rows: int = 3) -> DataFrame:
-    """Locality-sensitive hashing: bands of minima of hashed grams meet, then the Jaccard test."""
-    sets = Scratch(records.sparkSession, "minhash").save(records.select("rid", F.array_distinct(grams).alias("g")), "sets").where(F.size("g") > 0)
+    """Locality-sensitive hashing: bands of minima of hashed grams meet, then the Jaccard test.
+
+    Records of equal sets are one, the smallest; every two different sets of a bucket are tested.  A pair at
+    Jaccard 0.5 / 0.6 / 0.7 shares a bucket with probability 0.80 / 0.95 / 0.994.  Refused if the buckets hold over ``MINHASH_PAIRS`` pairs.
+    """
+    scratch = Scratch(records.sparkSession, "minhash")
+    sets = scratch.save(records.select("rid", F.array_sort(F.array_distinct(grams)).alias("g")).where(F.size("g") > 0), "all")
+    sets = scratch.save(sets.groupBy(F.xxhash64("g").alias("h"), F.xxhash64(F.lit(1), "g").alias("i")).agg(F.min("rid").alias("rid")).join(sets, "rid").select("rid", "g"), "sets")
     hashes = sets.select("rid", F.explode("g").alias("x")).select("rid", F.xxhash64("x").alias("h"))
     least_of = [F.min(F.xxhash64(F.lit(i), "h")).alias(f"m{i}") for i in range(bands * rows)]
     names = [[f"m{b * rows + r}" for r in range(rows)] for b in range(bands)]
     keys = hashes.groupBy("rid").agg(*least_of).select("rid", F.posexplode(F.array(*[F.xxhash64(*n) for n in names])).alias("band", "key"))
-    # members of a bucket meet its smallest record, so no bucket is squared
-    hub = keys.groupBy("band", "key").agg(F.min("rid").alias("lo"), F.count("*").alias("n")).where("n > 1")
-    near = keys.join(hub, ["band", "key"]).where("rid > lo").select("lo", F.col("rid").alias("hi")).distinct()
+    keys = scratch.save(keys, "keys")
+    total = keys.groupBy("band", "key").agg(F.count("*").alias("n")).agg(F.sum(F.expr("n * (n - 1) div 2"))).first()[0] or 0
+    if total > MINHASH_PAIRS:
+        raise ValueError(f"buckets with {total} pairs; use more rows a band")
+    near = (keys.select("band", "key", F.col("rid").alias("lo")).join(keys.select("band", "key", F.col("rid").alias("hi")), ["band", "key"])
+            .where("lo < hi").select("lo", "hi").distinct())
     x, y = sets.select(F.col("rid").alias("lo"), F.col("g").alias("gx")), sets.select(F.col("rid").alias("hi"), F.col("g").alias("gy"))
     return near.join(x, "lo").join(y, "hi").where(jaccard(F.col("gx"), F.col("gy")) >= least).select("lo", "hi")
 

@@ -6,6 +6,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sigres.functions.posterior import k_max, posterior
+from sigres.plans.scratch import Scratch
+
+#: Candidates up to which their table is broadcast (about 30 bytes each as hashes).
+BROADCAST_SIGNATURES = 500_000
+#: Records from which on the postings of a candidate that cannot identify are dropped before the shuffle.
+HOT = 10_000
 
 
 def dictionary(postings: DataFrame, most: int | None = None, least: int = 2) -> DataFrame:
@@ -17,12 +23,24 @@ def dictionary(postings: DataFrame, most: int | None = None, least: int = 2) ->
     return counts if most is None else counts.where(F.col("k") <= most)
 
 
-def build_index(postings: DataFrame, a: float, b: float, rho: float) -> DataFrame:
+def build_index(postings: DataFrame, a: float, b: float, rho: float, scratch: Scratch | None = None) -> DataFrame:
     """(sig, rid, source, k): the postings of candidates with p > rho and k >= 2.
 
-    p > rho is k <= k_max, so hot candidates go before any list of records is made.
+    p > rho is k <= k_max.  With ``scratch`` the counts are written first: candidates of one record, most
+    of all, are gone then; if those that stay are few they are broadcast and no posting is shuffled, else
+    the postings of hot candidates go before the shuffle, so no task meets all records of one candidate.
     """
-    return postings.join(dictionary(postings, k_max(rho, a, b)), "sig")
+    most = k_max(rho, a, b)
+    if scratch is None:
+        return postings.join(dictionary(postings, most), "sig")
+    counts = scratch.save(dictionary(postings), "counts")
+    good = scratch.save(counts.where(F.col("k") <= most), "good")
+    if good.count() <= BROADCAST_SIGNATURES:
+        return postings.join(F.broadcast(good), "sig")
+    hot = scratch.save(counts.where(F.col("k") > max(most, HOT)).select("sig"), "hot")
+    if 0 < hot.count() <= BROADCAST_SIGNATURES:
+        postings = postings.join(F.broadcast(hot), "sig", "left_anti")
+    return postings.join(good, "sig")
 
 
 def with_posterior(entries: DataFrame, a: float, b: float) -> DataFrame:

@@ -53,14 +53,17 @@ def threshold(links: DataFrame, tau: float) -> DataFrame:
     return links.where(F.col("ln_doubt") < math.log1p(-tau)) if tau > 0 else links
 
 
-def star_links(index: DataFrame, a: float, b: float, tau: float) -> DataFrame:
+def star_links(index: DataFrame, a: float, b: float, tau: float, scope: str = "dedupe") -> DataFrame:
     """Links of candidates that are above tau alone, to the smallest record of each: k - 1 edges, not k (k - 1) / 2.
 
-    The closure equals that of all pairs which share such a candidate.
+    The closure equals that of all pairs which share such a candidate.  With scope 'cross' only candidates of
+    two sources count: every record of one source then has a partner in another, so all of them are connected.
     """
-    own = index.where(ln_doubt(F.col("k"), a, b) < math.log1p(-tau))
-    hub = own.groupBy("sig").agg(F.min("rid").alias("lo"))
-    return own.join(hub, "sig").where("rid > lo").select("lo", F.col("rid").alias("hi")).distinct()
+    own = index.where(ln_doubt(F.col("k"), a, b) < math.log1p(-tau)) if 0 < tau < 1 else index.where(F.lit(tau <= 0))
+    hub = own.groupBy("sig").agg(F.min("rid").alias("lo"), F.min("source").alias("first"), F.max("source").alias("last"))
+    if scope == "cross":
+        hub = hub.where("first <> last")
+    return own.join(hub.select("sig", "lo"), "sig").where("rid > lo").select("lo", F.col("rid").alias("hi")).distinct()
 
 
 def recurrences(pairs: DataFrame) -> DataFrame:

@@ -16,7 +16,10 @@ from sigres.plans.scratch import Scratch
 
 @dataclass
 class Config:
-    """Parameters of one run; names follow the model: p = 1 / (1 + a^k b), p > rho, product > tau."""
+    """Parameters of one run; names follow the model: p = 1 / (1 + a^k b), p > rho, product > tau.
+
+    ``hashed``: candidates travel as two 64-bit hashes, unless elimination needs their words.
+    """
 
     families: list[candidates.Family]
     a: float = 2.0
@@ -29,39 +32,70 @@ class Config:
     rule: Callable[[str, str], Column] | None = None
     rule_cols: tuple[str, ...] = ()
     transitive: bool = True
-    hashed: bool = False
+    hashed: bool = True
     namespace: bool = False
 
 
-def potential_links(records: DataFrame, cfg: Config) -> DataFrame:
+def drops(cfg: Config) -> bool:
+    """Whether contained candidates are eliminated: on demand, or if one family's candidate can be part of another's."""
+    return cfg.eliminate == "always" or cfg.eliminate == "auto" and candidates.nested(cfg.families)
+
+
+def postings(records: DataFrame, cfg: Config) -> DataFrame:
+    """(rid, source, sig); hashes unless elimination needs the words."""
+    rows = candidates.emit(records, cfg.families, cfg.namespace)
+    return candidates.hashed(rows) if cfg.hashed and not drops(cfg) else rows
+
+
+def entries(records: DataFrame, cfg: Config, scratch: Scratch | None = None) -> DataFrame:
+    """The inverted index of a configuration; with ``scratch`` the postings are made once and written."""
+    rows = postings(records, cfg)
+    rows = scratch.save(rows, "postings") if scratch else rows
+    return index.build_index(rows, cfg.a, cfg.b, cfg.rho, scratch)
+
+
+def potential_links(records: DataFrame, cfg: Config, scratch: Scratch | None = None) -> DataFrame:
     """(lo, hi, sig, k) after the rho filter and, if families are nested, elimination."""
-    postings = candidates.emit(records, cfg.families, cfg.namespace)
-    drop = cfg.eliminate == "always" or cfg.eliminate == "auto" and candidates.nested(cfg.families)
-    if cfg.hashed and not drop:
-        postings = candidates.hashed(postings)
-    shared = pairs.generate(index.build_index(postings, cfg.a, cfg.b, cfg.rho), cfg.scope)
-    return pairs.eliminate(shared, cfg.containment) if drop else shared
+    shared = pairs.generate(entries(records, cfg, scratch), cfg.scope)
+    return pairs.eliminate(shared, cfg.containment) if drops(cfg) else shared
+
+
+def _probable(records: DataFrame, cfg: Config, scratch: Scratch | None = None) -> DataFrame:
+    return pairs.threshold(pairs.combine(potential_links(records, cfg, scratch), cfg.a, cfg.b), cfg.tau)
 
 
-def links(records: DataFrame, cfg: Config) -> DataFrame:
-    """(lo, hi, n_sig, ln_doubt, prob) above tau, verified if the configuration has a rule."""
-    found = pairs.threshold(pairs.combine(potential_links(records, cfg), cfg.a, cfg.b), cfg.tau)
-    return verify.verify(found, records, cfg.rule, list(cfg.rule_cols))
+def links(records: DataFrame, cfg: Config, scratch: Scratch | None = None) -> DataFrame:
+    """(lo, hi, n_sig, ln_doubt, prob) above tau, verified if the configuration has a rule.
+
+    Records and postings are written once, as several steps read them.
+    """
+    scratch = scratch or Scratch(records.sparkSession, "links")
+    saved = scratch.save(records, "records")
+    return verify.verify(_probable(saved, cfg, scratch), saved, cfg.rule, list(cfg.rule_cols))
 
 
 def blocks(records: DataFrame, cfg: Config) -> DataFrame:
     """Candidate pairs only, for another matcher: links without rule and closure."""
-    return pairs.threshold(pairs.combine(potential_links(records, cfg), cfg.a, cfg.b), cfg.tau).select("lo", "hi")
+    scratch = Scratch(records.sparkSession, "blocks")
+    return _probable(scratch.save(records, "records"), cfg, scratch).select("lo", "hi")
+
+
+def partition(found: DataFrame, nodes: DataFrame, transitive: bool = True) -> DataFrame:
+    """Links (lo, hi) and nodes (rid) -> (rid, entity_id); without closure a record takes its smallest partner."""
+    found = found.select(F.col("lo").alias("a"), F.col("hi").alias("b"))
+    if not transitive:
+        best = found.groupBy(F.col("b").alias("rid")).agg(F.min("a").alias("entity_id"))
+        return nodes.select("rid").join(best, "rid", "left").select("rid", F.coalesce("entity_id", "rid").alias("entity_id"))
+    found = Scratch(nodes.sparkSession, "links").save(found, "links")
+    return connected_components(found, nodes.select("rid"))
 
 
 def resolve(records: DataFrame, cfg: Config) -> DataFrame:
     """records (rid, source, attributes) -> (rid, entity_id); every record once."""
-    found = links(records, cfg).select(F.col("lo").alias("a"), F.col("hi").alias("b"))
-    if not cfg.transitive:
-        best = found.groupBy(F.col("b").alias("rid")).agg(F.min("a").alias("entity_id"))
-        return records.select("rid").join(best, "rid", "left").select("rid", F.coalesce("entity_id", "rid").alias("entity_id"))
-    found = Scratch(records.sparkSession, "links").save(found, "links")
-    return connected_components(found, records.select("rid"))
+    scratch = Scratch(records.sparkSession, "resolve")
+    saved = scratch.save(records, "records")
+    found = verify.verify(_probable(saved, cfg, scratch), saved, cfg.rule, list(cfg.rule_cols))
+    return partition(found, saved, cfg.transitive)
 
 
 def with_fallback(records: DataFrame, cfg: Config, longer: list[candidates.Family]) -> DataFrame:
@@ -74,14 +108,31 @@ def with_fallback(records: DataFrame, cfg: Config, longer: list[candidates.Famil
     return good.select("rid", "source", "sig").unionByName(second)
 
 
+def starred(cfg: Config) -> bool:
+    """Whether a star stands for all pairs of a candidate: elimination must never replace a candidate by a less probable one.
+
+    It does not if nothing is eliminated, or if all families are runs of one attribute and containment is
+    contiguous: a longer run then recurs at most as often as its parts.
+    """
+    runs = [f.run for f in cfg.families]
+    return not drops(cfg) or cfg.containment == "contiguous" and None not in runs and len({r[0] for r in runs}) == 1
+
+
 def star_resolve(records: DataFrame, cfg: Config) -> DataFrame:
-    """The partition of ``resolve`` without rule, linking records to signatures where one is enough.
+    """The partition of ``resolve``, linking records to signatures where one is enough.
 
-    Pairs that need several candidates are still combined.
+    Pairs that need several candidates are still combined.  A rule judges pairs, and without closure
+    there is no hub, so both are refused; where ``starred`` does not hold all pairs are combined.
     """
-    entries = index.build_index(candidates.emit(records, cfg.families), cfg.a, cfg.b, cfg.rho)
-    stars = pairs.star_links(entries, cfg.a, cfg.b, cfg.tau)
-    joint = pairs.threshold(pairs.combine(pairs.generate(entries, cfg.scope), cfg.a, cfg.b), cfg.tau).select("lo", "hi")
-    both = stars.unionByName(joint).select(F.col("lo").alias("a"), F.col("hi").alias("b"))
-    both = Scratch(records.sparkSession, "stars").save(both, "stars")
-    return connected_components(both, records.select("rid"))
+    if cfg.rule is not None or not cfg.transitive:
+        raise ValueError("star linking needs closure and no rule")
+    if not starred(cfg):
+        return resolve(records, cfg)
+    scratch = Scratch(records.sparkSession, "stars")
+    saved = scratch.save(records, "records")
+    index_ = scratch.save(entries(saved, cfg, scratch), "entries")
+    stars = pairs.star_links(index_, cfg.a, cfg.b, cfg.tau, cfg.scope)
+    shared = pairs.generate(index_, cfg.scope)
+    shared = pairs.eliminate(shared, cfg.containment) if drops(cfg) else shared
+    joint = pairs.threshold(pairs.combine(shared, cfg.a, cfg.b), cfg.tau).select("lo", "hi")
+    return partition(stars.unionByName(joint), saved)

@@ -84,3 +84,13 @@ def relation_subrecord(short: DataFrame, long: DataFrame, anchor: int = 3, conti
     every = long.where(F.size("rv") >= anchor).select("*", F.explode(grams).alias("_g"))
     test = is_run if contiguous else is_subrecord
     return first.join(every, "_g").where(test(F.col("lv"), F.col("rv"))).select("lid", "rid").distinct()
+
+
+def equality_classes(df: DataFrame, cols: list[str], key: str) -> DataFrame:
+    """(key, class_id, links): rows with equal ``cols`` as one class, its smallest key and how many others each row equals.
+
+    Counts combine before the shuffle and are joined back, so a large group is not one task.
+    """
+    keyed = df.select(key, F.xxhash64(*cols).alias("_h1"), F.xxhash64(F.lit(1), *cols).alias("_h2"))
+    classes = keyed.groupBy("_h1", "_h2").agg(F.min(key).alias("class_id"), (F.count("*") - 1).alias("links"))
+    return keyed.join(classes, ["_h1", "_h2"]).select(key, "class_id", "links")

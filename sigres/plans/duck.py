@@ -79,6 +79,14 @@ reach AS ({start} UNION SELECT e.b, r.m FROM reach r JOIN both_ways e ON e.a = r
 cc AS (SELECT rid, min(m) AS entity_id FROM reach GROUP BY rid)"""
 
 
+def dense_components(edges: str) -> str:
+    """Least label of a node's neighbours, round by round until nothing falls; for graphs of any density."""
+    return f"""both_ways AS MATERIALIZED (SELECT a, b FROM ({edges}) UNION SELECT b, a FROM ({edges})),
+cc(rid, entity_id) USING KEY (rid) AS (SELECT DISTINCT a, a FROM both_ways
+  UNION (SELECT e.b, min(n.entity_id) FROM cc n JOIN both_ways e ON e.a = n.rid JOIN recurring.cc o ON o.rid = e.b
+    WHERE n.entity_id < o.entity_id GROUP BY e.b))"""
+
+
 def quality(links: str, truth: str) -> str:
     """tp, fp, fn and rates of two pair sets (lo, hi)."""
     return f"""SELECT tp, fp, fn, round(CASE WHEN tp + fp = 0 THEN 0.0 ELSE tp / (tp + fp) END, 6) AS "precision",
@@ -101,10 +109,11 @@ rec AS (SELECT key * 2 AS rid, 0 AS source, n AS name FROM pw UNION ALL SELECT k
 truth AS (SELECT key * 2 AS lo, key * 2 + 1 AS hi FROM pw)"""
 
 OFFERS = PRODUCTS.replace("rec AS (", "base AS (", 1) + f""",
+last AS (SELECT * FROM lineitem QUALIFY row_number() OVER (PARTITION BY l_partkey ORDER BY l_orderkey DESC, l_linenumber DESC) = 1),
 rec AS (SELECT rid, source, name FROM base UNION ALL
-  SELECT l_orderkey * 2 + 1 + 20000000000, 1, list_transform(p3.n, lambda w: CASE WHEN w = 'p' || {cents('p_retailprice')}
+  SELECT l_partkey * 2 + 1 + 20000000000, 1, list_transform(p3.n, lambda w: CASE WHEN w = 'p' || {cents('p_retailprice')}
     THEN 'p' || {cents('l_extendedprice / l_quantity')} ELSE w END)
-  FROM lineitem JOIN p3 ON l_partkey = p3.key JOIN part ON p_partkey = p3.key WHERE l_linenumber = 1 AND l_orderkey % 20 = 0)"""
+  FROM last JOIN p3 ON l_partkey = p3.key JOIN part ON p_partkey = p3.key)"""
 
 
 def _person(late: bool) -> str:

@@ -111,13 +111,14 @@ def prod_pair(spark: SparkSession, d: str) -> DataFrame:
 
 
 def prod_offers(spark: SparkSession, d: str) -> DataFrame:
-    """The edited catalogue plus one row per sampled order line, with the price that was paid."""
+    """The edited catalogue plus one offer per part that was ever sold, with the price of its last order line."""
     part = load_table(spark, d, "part")
-    sold = load_table(spark, d, "lineitem").where("l_linenumber = 1 and l_orderkey % 20 = 0").select(
-        "l_orderkey", F.col("l_partkey").alias("p_partkey"), cents(F.col("l_extendedprice") / F.col("l_quantity")).alias("paid"))
+    line = load_table(spark, d, "lineitem")
+    paid = F.max_by(F.col("l_extendedprice") / F.col("l_quantity"), F.struct("l_orderkey", "l_linenumber"))
+    sold = line.groupBy(F.col("l_partkey").alias("p_partkey")).agg(cents(paid).alias("paid"))
     offers = part.join(sold, "p_partkey").withColumn("_n", _edited(_product_words(), F.col("p_partkey")))
     price = F.concat(F.lit("p"), cents(F.col("p_retailprice")))
-    offers = offers.select((F.col("l_orderkey") * 2 + 1 + 20_000_000_000).alias("rid"), F.lit(1).alias("source"), "p_partkey",
+    offers = offers.select((F.col("p_partkey") * 2 + 1 + 20_000_000_000).alias("rid"), F.lit(1).alias("source"), "p_partkey",
                            F.transform("_n", lambda w: F.when(w == price, F.concat(F.lit("p"), F.col("paid"))).otherwise(w)).alias("name"))
     base = prod_b(spark, d).withColumn("p_partkey", F.floor(F.col("rid") / 2))
     return base.unionByName(offers)
@@ -197,10 +198,11 @@ def star_edges(spark: SparkSession, d: str, last: bool = False) -> DataFrame:
 
 
 def clique_edges(spark: SparkSession, d: str) -> DataFrame:
-    o = load_table(spark, d, "orders").where("o_custkey % 10 = 0").select("o_custkey", "o_orderkey")
+    """Every two orders of a customer."""
+    o = load_table(spark, d, "orders").select("o_custkey", "o_orderkey")
     return o.select("o_custkey", F.col("o_orderkey").alias("a")).join(o.select("o_custkey", F.col("o_orderkey").alias("b")), "o_custkey").where("a < b").select("a", "b")
 
 
-def bipartite_edges(spark: SparkSession, d: str, where: str = "l_linenumber = 1 and l_quantity < 2") -> DataFrame:
-    """Orders (even ids) and parts (odd ids) of a sparse choice of order lines."""
-    return load_table(spark, d, "lineitem").where(where).select((F.col("l_orderkey") * 2).alias("a"), (F.col("l_partkey") * 2 + 1).alias("b")).distinct()
+def bipartite_edges(spark: SparkSession, d: str) -> DataFrame:
+    """Orders (even ids) and the parts (odd ids) in their lines."""
+    return load_table(spark, d, "lineitem").select((F.col("l_orderkey") * 2).alias("a"), (F.col("l_partkey") * 2 + 1).alias("b")).distinct()

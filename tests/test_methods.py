@@ -13,6 +13,7 @@ from sigres.operators.components import Trace, connected_components
 from sigres.operators.resolve import Config
 from sigres.plans import comparisons
 from sigres.sources import fixtures as fx
+from sigres.streaming import jobs
 
 
 def one(spark, expr):
@@ -154,6 +155,89 @@ def test_resolution_ignores_order_and_duplicates(spark):
     assert sorted(tuple(r) for r in resolve.star_resolve(records(spark, rows), cfg).collect()) == want
 
 
+def _two_sources(seed, n=36):
+    rng = random.Random(seed)
+    rows = []
+    for i in range(n):
+        e = rng.randrange(n // 3)
+        rows.append((i, rng.randrange(2), [f"n{e}", f"m{e % 5}", f"x{rng.randrange(4)}"][:rng.randint(1, 3)], [f"p{e % 7}"]))
+    return rows
+
+
+CONFIGS = [
+    dict(families=[candidates.consecutive("name", 2)], tau=0.5, scope="cross"),
+    dict(families=[candidates.consecutive("name", n) for n in (1, 2)], tau=0.4, rho=0.3, containment="contiguous"),
+    dict(families=[candidates.consecutive("name", n) for n in (1, 2, 3)], tau=0.6, rho=0.2, scope="cross"),
+    dict(families=[candidates.whole("name"), candidates.whole("phone")], a=1.3, b=0.2, rho=0.2, tau=0.3, namespace=True, hashed=False),
+    dict(families=[candidates.consecutive("name", 2)], tau=0.5, rule=verify.by_jaccard("name", 0.6), rule_cols=("name",)),
+    dict(families=[candidates.consecutive("name", 1)], tau=0.5, rho=0.3, transitive=False),
+]
+
+
+@pytest.mark.parametrize("number", range(len(CONFIGS)))
+def test_stars_and_increments_equal_the_batch(spark, number):
+    cfg = Config(**CONFIGS[number])
+    rows = _two_sources(number)
+    df = spark.createDataFrame(rows, "rid long, source int, name array<string>, phone array<string>")
+    want = sorted(tuple(r) for r in resolve.resolve(df, cfg).collect())
+    assert len({e for _, e in want}) < len(want)
+    cut = F.col("rid") % 3 > 0
+    got = jobs.resolve_incremental(df.where(cut), df.where(~cut), cfg)
+    assert sorted(tuple(r) for r in got.collect()) == want
+    if cfg.rule is not None or not cfg.transitive:
+        with pytest.raises(ValueError):
+            resolve.star_resolve(df, cfg)
+    else:
+        assert sorted(tuple(r) for r in resolve.star_resolve(df, cfg).collect()) == want
+
+
+def test_star_keeps_records_of_one_source_apart(spark):
+    df = spark.createDataFrame([(0, 0, ["a", "b"]), (2, 0, ["a", "b"]), (1, 1, ["c", "d"])], "rid long, source int, name array<string>")
+    cfg = Config([candidates.consecutive("name", 2)], tau=0.3, scope="cross")
+    assert {r.rid: r.entity_id for r in resolve.star_resolve(df, cfg).collect()} == {0: 0, 1: 1, 2: 2}
+
+
+def test_index_with_hot_candidates(spark, monkeypatch):
+    from sigres.plans.scratch import Scratch
+    df = records(spark, [(i, ["hot", f"w{i // 2}"]) for i in range(40)])
+    posts = candidates.emit(df, [candidates.consecutive("name", 1)])
+    want = sorted(tuple(r) for r in index.build_index(posts, 2.0, 0.1, 0.5).select("sig", "rid", "k").collect())
+    for few, hot in ((10**6, 10), (1, 10), (1, 10**6)):
+        monkeypatch.setattr(index, "BROADCAST_SIGNATURES", few)
+        monkeypatch.setattr(index, "HOT", hot)
+        got = index.build_index(posts, 2.0, 0.1, 0.5, Scratch(spark, "t"))
+        assert sorted(tuple(r) for r in got.select("sig", "rid", "k").collect()) == want
+
+
+def test_jaccard_links_match_brute_force(spark):
+    rng = random.Random(2)
+    rows = [(i, [f"w{rng.randrange(14)}" for _ in range(rng.randint(0, 9))]) for i in range(90)]
+    df = records(spark, rows)
+    for least in (0.5, 0.8, 1.0):
+        got = sorted((r.lo, r.hi) for r in baselines.jaccard_link(df, F.col("name"), least).collect())
+        sets = {i: set(w) for i, w in rows if w}
+        want = [(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= least * len(sets[i] | sets[j])]
+        assert got == sorted(want)
+
+
+def test_recall_of_minhash(spark):
+    rng = random.Random(4)
+    rows = []
+    for i in range(240):
+        base = [f"b{i // 4}w{j}" for j in range(20)]
+        rows.append((i, [w if rng.random() < 0.9 else f"e{rng.randrange(50)}" for w in base]))
+    sets = {i: set(w) for i, w in rows}
+    exact = {(r.lo, r.hi) for r in baselines.jaccard_link(records(spark, rows), F.col("name"), 0.6).collect()}
+    same = {p for p in exact if sets[p[0]] == sets[p[1]]}
+    near = {(r.lo, r.hi) for r in baselines.minhash_link(records(spark, rows), F.col("name"), 0.6).collect()}
+    assert near <= exact and len(exact) > 150 and len(near) >= 0.9 * len(exact - same)
+
+
+def test_ln_factorial(spark):
+    for k in (0, 1, 2, 15, 16, 17, 60, 1000, 10**7):
+        assert one(spark, law.ln_factorial(F.lit(k))) == pytest.approx(math.lgamma(k + 1), rel=1e-12, abs=1e-12)
+
+
 def test_jaro_values():
     assert verify.jaro("martha", "marhta") == pytest.approx(0.944444, abs=1e-6)
     assert verify.jaro_winkler("dixon", "dicksonx") == pytest.approx(0.813333, abs=1e-6)
