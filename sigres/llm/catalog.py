@@ -14,7 +14,7 @@ def _documents(spark, sf_dir):
 
 def op1_mixing(spark, sf_dir):
     mixed = mixing.training_order(_documents(spark, sf_dir))
-    return mixed.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
+    return mixed.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken", "epochs", F.round("position", 6).alias("position"))
 
 
 def op2_language_id(spark, sf_dir):

@@ -44,10 +44,13 @@ ENDS_P = frozenset(
 #: Elements that end tags of inline elements do not reach through.
 SCOPE = frozenset("html body table td th caption button object template".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+>?|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']|\"[^\"]*+\"|'[^']*+')*+)(?:>|\Z)", re.S)
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+>?|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']|\"[^\"]*+\"|'[^']*+')*+)(?:>|\Z)", re.S)
 _ATTR = re.compile(r"([^\s=/\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"']+)))?")
 _SPACE = re.compile(r"[\x20\t\n\f\r]+")
-_UNSEEN = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))", re.I)
+_STYLED = re.compile(r"(?:^|;)\s*(display|visibility)\s*:\s*([a-z-]+)", re.I)
+_CONDITIONAL = re.compile(r"/\*.*?(?:\*/|\Z)|@[^{};]*+(?:;|\{(?:[^{}]*+\{[^{}]*+\})*+[^{}]*+\})", re.S)
+_RULE = re.compile(r"([^{}]*+)\{([^{}]*+)\}")
+_SELECTOR = re.compile(r"([a-zA-Z][\w-]*)?(?:([.#])([\w-]+))?")
 
 
 @dataclass(slots=True)
@@ -143,8 +146,6 @@ def parse(page: str) -> Node:
             b.open[-1].children.append(html.unescape(page[at:m.start()]))
         at = m.end()
         if not m[2]:
-            if m[0].startswith("<![CDATA["):
-                b.open[-1].children.append(m[0][9:].removesuffix("]]>"))
             continue
         name = m[2].lower()
         if m[1]:
@@ -159,12 +160,43 @@ def parse(page: str) -> Node:
     return b.root
 
 
-def visible(node: Node) -> bool:
-    """Whether a browser without scripts shows the element: not ``hidden``, not styled away."""
+def _style(text: str) -> dict[str, str]:
+    """The last value of display and of visibility in a list of declarations."""
+    return {m[1].lower(): m[2].lower() for m in _STYLED.finditer(text)} if text else {}
+
+
+def undisplayed(sheets: list[str]) -> set[tuple[str, str, str]]:
+    """Selectors (name, sign, class or id) that style sheets give ``display: none`` last.
+
+    Only an element name, a class, an id or a name with one of these count; conditional rules do not.
+    """
+    out: set[tuple[str, str, str]] = set()
+    for sheet in sheets:
+        if "display" not in sheet.lower():
+            continue
+        for m in _RULE.finditer(_CONDITIONAL.sub(" ", sheet)):
+            value = _style(m[2]).get("display")
+            for one in m[1].split(",") if value else ():
+                s = _SELECTOR.fullmatch(one.strip())
+                if s and s[0]:
+                    (out.add if value == "none" else out.discard)(((s[1] or "").lower(), s[2] or "", s[3] or ""))
+    return out
+
+
+def displayed(node: Node, sheet: set[tuple[str, str, str]] = frozenset()) -> bool:
+    """Whether a browser without scripts lays the element out: not ``hidden``, not styled away."""
     a = node.attrs
-    if node.name in HIDDEN or node.name == "dialog" and "open" not in a:
+    if node.name in HIDDEN or node.name == "input" or node.name == "dialog" and "open" not in a:
         return False
-    return not a or not ("hidden" in a or _UNSEEN.search(a.get("style", "")) or node.name == "input")
+    own = _style(a.get("style", "")).get("display")
+    if own:
+        return own != "none"
+    if "hidden" in a:
+        return False
+    if sheet:
+        marks = [("", "")] + [(".", c) for c in a.get("class", "").split()] + ([("#", a["id"])] if "id" in a else [])
+        return not any((name, *mark) in sheet for name in (node.name, "") for mark in marks)
+    return True
 
 
 class Lines:
@@ -220,8 +252,49 @@ class Lines:
         return self.done
 
 
+class Table:
+    """Rows of cells (lists of lines) on the table's grid; ``taken`` counts the rows in which a column is still held from above."""
+
+    def __init__(self) -> None:
+        self.rows: list[list[list[str]]] = []
+        self.taken: dict[int, int] = {}
+
+    def _skip(self, row: list[list[str]]) -> None:
+        while self.taken.get(len(row), 0) > 0:
+            self.taken[len(row)] -= 1
+            row.append([])
+
+    def start_row(self) -> None:
+        if self.rows:
+            self._finish()
+        self.rows.append([])
+
+    def _finish(self) -> None:
+        row = self.rows[-1]
+        for at in sorted(k for k, n in self.taken.items() if n > 0 and k >= len(row)):
+            row.extend([[]] * (at - len(row)))
+            self._skip(row)
+
+    def cell(self, lines: list[str], across: int, down: int) -> None:
+        row = self.rows[-1]
+        self._skip(row)
+        for j in range(across):
+            if down > 1:
+                self.taken[len(row)] = down - 1
+            row.append([] if j else lines)
+
+    def whole(self) -> list[list[list[str]]]:
+        if self.rows:
+            self._finish()
+        return self.rows
+
+
 def _grid(rows: list[list[list[str]]]) -> list[str]:
-    """Cells (lists of lines) in aligned columns, two spaces apart; a cell may have several lines."""
+    """Cells (lists of lines) in aligned columns, two spaces apart; a cell may have several lines.
+
+    A column is as wide as its widest line of at most 80 characters; longer lines run over, as
+    padding to them would make the output grow with rows times width.
+    """
     if not rows:
         return []
     if max(map(len, rows)) == 1:
@@ -229,12 +302,10 @@ def _grid(rows: list[list[list[str]]]) -> list[str]:
     wide: list[int] = []
     for row in rows:
         for j, cell in enumerate(row):
-            w = max(map(len, cell), default=0)
+            w = max((len(line) for line in cell if len(line) <= 80), default=0)
             if j == len(wide):
                 wide.append(w)
             wide[j] = max(wide[j], w)
-    # a column of running text is not padded: that would make the output grow with rows times width
-    wide = [w if w <= 80 else 0 for w in wide]
     out = []
     for row in rows:
         for k in range(max(1, max(map(len, row), default=1))):
@@ -243,13 +314,25 @@ def _grid(rows: list[list[list[str]]]) -> list[str]:
     return out
 
 
+def _sheets(root: Node) -> list[str]:
+    """Texts of all style elements, in document order."""
+    out, stack = [], [root]
+    while stack:
+        node = stack.pop()
+        if node.name == "style":
+            out.append("".join(c for c in node.children if isinstance(c, str)))
+        stack += [c for c in reversed(node.children) if not isinstance(c, str)]
+    return out
+
+
 def render(root: Node) -> str:
     """All visible text of a tree, with an explicit stack instead of recursion."""
     out = Lines()
-    # entries: ("node", node, pre), ("text", string, pre), or ("call", function)
-    stack: list[tuple] = [("node", root, False)]
+    sheet = undisplayed(_sheets(root))
+    # entries: ("node", node, pre, shown), ("text", string, pre, shown), or ("call", function); shown is the inherited visibility
+    stack: list[tuple] = [("node", root, False, True)]
     sinks: list[Lines] = [out]
-    tables: list[list[list[list[str]]]] = []
+    tables: list[Table] = []
     lists: list[list] = []
 
     def leave_block(spaced: bool):
@@ -260,14 +343,18 @@ def render(root: Node) -> str:
         if kind == "call":
             rest[0]()
             continue
-        item, pre = rest
+        item, pre, shown = rest
         sink = sinks[-1]
         if kind == "text":
-            sink.exact(item) if pre else sink.text(item)
+            if shown:
+                sink.exact(item) if pre else sink.text(item)
             continue
         name = item.name
-        if not visible(item):
+        if not displayed(item, sheet):
             continue
+        if "style" in item.attrs:
+            own = _style(item.attrs["style"]).get("visibility", "inherit")
+            shown = shown if own == "inherit" else own not in ("hidden", "collapse")
         if name == "br":
             sink.line(force=True)
             continue
@@ -275,7 +362,7 @@ def render(root: Node) -> str:
             sink.gap()
             continue
         if name == "img":
-            if item.attrs.get("alt"):
+            if shown and item.attrs.get("alt"):
                 sink.text(" " + item.attrs["alt"] + " ")
             continue
         after: list = []
@@ -303,38 +390,42 @@ def render(root: Node) -> str:
                     outer.line(force=True)
             after.append(close_item)
         elif name == "table":
-            tables.append([])
+            tables.append(Table())
             saved, lists = lists, []
 
             def close_table(outer=sink, saved=saved) -> None:
                 nonlocal lists
                 lists = saved
-                for line in _grid(tables.pop()):
+                for line in _grid(tables.pop().whole()):
                     outer.exact(line)
                     outer.line(force=True)
             after.append(close_table)
         elif name == "tr" and tables:
-            tables[-1].append([])
-        elif name in ("td", "th") and tables and tables[-1]:
+            tables[-1].start_row()
+        elif name in ("td", "th") and tables and tables[-1].rows:
             inner = Lines()
             sinks.append(inner)
-            row = tables[-1][-1]
 
-            after.append(lambda row=row, inner=inner, attrs=item.attrs: _end_cell(sinks, row, inner, attrs))
+            def close_cell(table=tables[-1], inner=inner, attrs=item.attrs) -> None:
+                sinks.pop()
+                table.cell(inner.result(), _span(attrs, "colspan"), _span(attrs, "rowspan"))
+            after.append(close_cell)
         stack += [("call", f) for f in after]
         inside = pre or name in ("pre", "textarea", "listing")
-        for child in reversed(item.children):
-            stack.append(("text", child, inside) if isinstance(child, str) else ("node", child, inside))
+        children = item.children
+        if name == "details" and "open" not in item.attrs:  # closed: its summary is all that is shown
+            children = [c for c in children if not isinstance(c, str) and c.name == "summary"][:1]
+        for child in reversed(children):
+            stack.append(("text" if isinstance(child, str) else "node", child, inside, shown))
     lines = [x.rstrip(" ") for x in out.result()]
     text = "\n".join(lines).strip("\n")
     return re.sub(r"\n{3,}", "\n\n", text)
 
 
-def _end_cell(sinks: list[Lines], row: list[list[str]], inner: Lines, attrs: dict[str, str]) -> None:
-    sinks.pop()
-    row.append(inner.result())
-    span = attrs.get("colspan", "1")
-    row.extend([[]] * (min(int(span), 1000) - 1 if re.fullmatch(r"[0-9]{1,4}", span) and int(span) else 0))
+def _span(attrs: dict[str, str], name: str) -> int:
+    """Columns or rows that a cell takes: 1 to 1000."""
+    value = attrs.get(name, "1")
+    return max(1, min(int(value), 1000)) if re.fullmatch(r"[0-9]{1,4}", value) else 1
 
 
 def extract(page: str | None) -> str | None:
@@ -345,6 +436,9 @@ def extract(page: str | None) -> str | None:
 def extract_pages(pages: DataFrame) -> DataFrame:
     """One row per row of ``pages`` (page_id, url, html): page_id, url, text, n_chars, n_lines.
 
+    Cells stand on the table's grid, row and column spans included.  Elements that are not displayed (by
+    attribute, own style, or a style sheet's rule for one name, class or id) are left out with all below
+    them; of what is only invisible, visible descendants are kept; closed details show their summary.
     Null html gives null text and zero counts; empty html gives an empty text.  Repeated rows are
     rendered each; an empty table gives an empty result; other columns are not read.
     """

@@ -8,24 +8,23 @@ sample of labelled segments; whole texts are labelled in Arrow batches, segments
 
 from __future__ import annotations
 
-import re
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sigres.llm.batches import map_text
+from sigres.plans.scratch import Scratch, small_side
 
 #: Bytes after which the states start anew, and hidden units of either direction.
 SEGMENT, HIDDEN = 64, 12
-#: Documents a language gives to training (expected), and segments of each; both bound the sample.
+#: Documents a language gives to training at most, and segments of each; both bound the sample.
 SAMPLE_DOCS, SAMPLE_SEGMENTS = 300, 8
 STEPS, BATCH, RATE = 260, 128, 0.015
 #: Segments that are labelled side by side.
 WIDTH = 1024
-_LETTER = re.compile(r"[^\W\d_]")
 UNKNOWN = "und"
 
 
@@ -160,29 +159,44 @@ def _cut(text: str) -> list[bytes]:
 
 
 def sample(docs: DataFrame, docs_each: int = SAMPLE_DOCS, segments_each: int = SAMPLE_SEGMENTS) -> tuple[list[bytes], list[str]]:
-    """Labelled segments: about ``docs_each`` documents a language by the hash of their text, and of
-    each document ``segments_each`` segments evenly spread over the whole text."""
+    """Labelled segments: the ``docs_each`` different texts of each language with the smallest hashes, and of
+    each ``segments_each`` segments evenly spread over the whole text.
+
+    Equal texts count once, whatever their number, and texts are cut before they are sorted, so at most
+    ``docs_each`` documents and ``segments_each`` segments of each a language reach the driver.
+    """
     known = docs.where("lang is not null and text is not null")
-    sizes = known.groupBy("lang").count()
-    part = F.xxhash64("text").bitwiseAND(F.lit((1 << 40) - 1)) / F.lit(float(1 << 40))
-    chosen = known.join(F.broadcast(sizes), "lang").where(part * F.col("count") < docs_each).select("lang", "text")
+    rank = F.struct(F.xxhash64("text").alias("h"), F.xxhash64(F.lit(1), "text").alias("i"))
+    different = known.select("lang", rank.alias("r")).distinct()
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("r"))  # Spark limits each task to so many before the shuffle
+    chosen = different.withColumn("n", place).where(F.col("n") <= docs_each).drop("n")
+    chosen = Scratch(docs.sparkSession, "language").save(chosen, "sample")
+    texts = known.select("lang", "text", rank.alias("r")).join(small_side(chosen, SAMPLE_DOCS * 1000), ["lang", "r"])
 
     def run(piece: pa.RecordBatch) -> dict:
-        out: dict[str, list] = {"lang": [], "segment": []}
-        for lang, text in zip(piece.column("lang").to_pylist(), piece.column("text").to_pylist()):
+        out: dict[str, list] = {"lang": [], "n": [], "segment": []}
+        for lang, text in set(zip(piece.column("lang").to_pylist(), piece.column("text").to_pylist())):
             cuts = _cut(text)
             for i in np.unique(np.linspace(0, len(cuts) - 1, segments_each).astype(int)) if cuts else ():
                 out["lang"].append(lang)
+                out["n"].append(i)
                 out["segment"].append(cuts[i])
         return out
 
-    rows = sorted((r.lang, bytes(r.segment)) for r in map_text(chosen, run, "lang string, segment binary").collect())
+    # a text that several tasks have gives the same segments, which are one
+    rows = map_text(texts.select("lang", "text"), run, "lang string, n long, segment binary").groupBy("lang", "n", "segment").agg(F.lit(1).alias("one"))
+    rows = sorted((r.lang, bytes(r.segment)) for r in rows.collect())
     return [r[1] for r in rows], [r[0] for r in rows]
 
 
+def has_letter(text: str) -> bool:
+    """Whether a character is a letter of Unicode; signs such as a fraction or a circled or Roman number are none."""
+    return any(map(str.isalpha, text))
+
+
 def label_texts(net: Network, texts: list[str | None]) -> tuple[list[str], list[float]]:
     """Language and mean probability of each text."""
-    data = [t.encode("utf-8", "replace") if t and _LETTER.search(t) else b"" for t in texts]
+    data = [t.encode("utf-8", "replace") if t and has_letter(t) else b"" for t in texts]
     pieces = [-(-len(d) // SEGMENT) for d in data]
     flat = np.frombuffer(b"".join(d.ljust(n * SEGMENT, b"\0") for d, n in zip(data, pieces)), np.uint8).reshape(-1, SEGMENT)
     lengths = np.full(len(flat), SEGMENT)

@@ -143,15 +143,16 @@ def passes(mixed: DataFrame, schedules=SCHEDULES) -> DataFrame:
 
 
 def training_order(docs: DataFrame, schedules=SCHEDULES, **options) -> DataFrame:
-    """The rows of ``mix`` in training order: ``taken`` summed over the passes, and ``position``, that of the first pass.
+    """The rows of ``mix`` in training order: ``taken`` summed over the passes, ``epochs``, their number, and ``position``, that of the first.
 
     Range-partitioned and sorted by position; documents that are not taken have none and stand last.
     """
     mixed = Scratch(docs.sparkSession, "order").save(mix(docs, **options), "mixed")
     # a row is known by what stands before it, as only rows without words share that and they are not taken
     row = ["doc_id", "source", "size", "source_size", "target", "before", "at"]
-    taken = passes(mixed, schedules).groupBy(*row).agg(F.sum("words").alias("taken"), F.min("position").alias("position"))
-    idle = mixed.where("taken = 0").select(*row, "taken", F.lit(None).cast("double").alias("position"))
+    taken = passes(mixed, schedules).groupBy(*row).agg(
+        F.sum("words").alias("taken"), F.count("*").alias("epochs"), F.min("position").alias("position"))
+    idle = mixed.where("taken = 0").select(*row, "taken", F.lit(0).cast("long").alias("epochs"), F.lit(None).cast("double").alias("position"))
     order = [F.col("position").asc_nulls_last(), F.col("doc_id")]
     return taken.unionByName(idle).repartitionByRange(*order).sortWithinPartitions(*order)
 
@@ -172,26 +173,31 @@ WITH RECURSIVE d AS (
   SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size FROM documents
 ), s AS (
   SELECT source, CAST(sum(size) AS BIGINT) AS source_size,
-         [5.0, 2.0, 1.0][1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3]::DOUBLE AS w
+         (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 AS k, [5.0, 2.0, 1.0][1 + k]::DOUBLE AS w
   FROM d GROUP BY source
 ), fill AS (
-  SELECT 0 AS round, source, source_size, w, false AS capped, CAST(NULL AS DOUBLE) AS target FROM s
+  SELECT 0 AS round, source, source_size, k, w, false AS capped, CAST(NULL AS DOUBLE) AS target FROM s
   UNION ALL
-  SELECT round + 1, source, source_size, w, capped OR lev * w >= 2.0 * source_size,
+  SELECT round + 1, source, source_size, k, w, capped OR lev * w >= 2.0 * source_size,
          CASE WHEN capped OR lev * w >= 2.0 * source_size THEN 2.0 * source_size ELSE lev * w END
   FROM (SELECT *, (1.5 * sum(source_size) OVER () - coalesce(sum(CASE WHEN capped THEN 2.0 * source_size END) OVER (), 0))
                   / nullif(sum(CASE WHEN capped THEN 0 ELSE w END) OVER (), 0) AS lev FROM fill)
   WHERE round < 64
 ), t AS (
-  SELECT source, source_size, round(target, 6) AS target, CAST(round(target) AS BIGINT) AS goal FROM fill WHERE round = 64
+  SELECT source, source_size, k, target, CAST(round(target) AS BIGINT) AS goal FROM fill WHERE round = 64
 ), o AS (
-  SELECT doc_id, size, source_size, target, goal,
+  SELECT doc_id, size, source_size, k, target, goal,
          coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5(CAST(doc_id AS VARCHAR)), doc_id
                                   ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
   FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
+), m AS (
+  SELECT *, CAST(CASE WHEN source_size = 0 THEN 0 ELSE (goal // source_size) * size
+            + greatest(0, least(size, goal - (goal // source_size) * source_size - before)) END AS BIGINT) AS taken FROM o
+), p AS (
+  -- demand of the middle of the first pass as a share of the source's, and the time at which its schedule's integral is that share
+  SELECT *, least(1.0, (before + least(size, taken) / 2) / target) AS q FROM m
 )
-SELECT doc_id, size, source_size, target,
-       CAST(CASE WHEN source_size = 0 THEN 0 ELSE (goal // source_size) * size
-            + greatest(0, least(size, goal - (goal // source_size) * source_size - before)) END AS BIGINT) AS taken
-FROM o
+SELECT doc_id, size, source_size, round(target, 6) AS target, taken, CASE WHEN taken = 0 THEN 0 ELSE (taken + size - 1) // size END AS epochs,
+       round(CASE WHEN taken > 0 THEN CASE k WHEN 0 THEN 1.5 - sqrt(2.25 - 2 * q) WHEN 1 THEN q ELSE sqrt(0.25 + 2 * q) - 0.5 END END, 6) AS position
+FROM p
 """

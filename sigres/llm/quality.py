@@ -258,8 +258,11 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, mar
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs`` that are kept, with all their columns; rows without a doc_id stay."""
+    """The rows of ``docs`` that are kept, with all their columns, whatever their names; rows without a doc_id stay.
+
+    Of rows that repeat a doc_id all go if one is rejected.
+    """
     scratch = Scratch(docs.sparkSession, "good")
-    bad = classify(docs, labels, **options).where("not keep and doc_id is not null").select(F.col("doc_id").alias("_bad")).distinct()
-    bad = scratch.save(bad, "bad")
-    return docs.join(small_side(bad, BROADCAST_LABELS), docs["doc_id"] == F.col("_bad"), "left_anti")
+    bad = classify(docs, labels, **options).where("not keep and doc_id is not null").select("doc_id").distinct()
+    bad = small_side(scratch.save(bad, "bad"), BROADCAST_LABELS).alias("rejected")
+    return docs.alias("judged").join(bad, F.col("judged.doc_id") == F.col("rejected.doc_id"), "left_anti")

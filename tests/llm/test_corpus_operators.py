@@ -282,6 +282,30 @@ def test_contamination(spark, odd, none):
     assert decontaminate.decontaminate(odd, bench).columns == odd.columns
 
 
+@pytest.mark.parametrize("size,counts", [(5, (0,)), (8, (0,)), (9, (0, 1)), (11, (1, 2)), (14, (3,)), (17, (4,)), (20, (4, 5)), (30, (5,))])
+def test_recall_of_seeds(spark, size, counts):
+    rng = random.Random(size)
+    words = lambda n: [f"t{rng.randrange(100_000)}" for _ in range(n)]
+    items = {i: words(size) for i in range(150)}
+    docs, many = [], {}
+    for i, item in items.items():
+        part = list(item)
+        gone = counts[i % len(counts)]
+        for j in rng.sample(range(min(size, 20)), gone):
+            part[j] = "replaced"
+        docs.append((i, " ".join(words(30) + part + words(30))))
+        many[i] = gone
+    # one word too many is one word too many, unless a window of a longer item is left
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in items.items()], "item_id long, text string")
+    got = {r.doc_id: r["items"] for r in decontaminate.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), bench).collect()}
+    for n in counts:
+        mine = [i for i in many if many[i] == n]
+        assert sum(got.get(i) == [i] for i in mine) >= 0.93 * len(mine)
+    if size <= 20:
+        worst = spark.createDataFrame([(i, " ".join(words(9) + ["x"] * (max(counts) + 1) + w[max(counts) + 1:] + words(9))) for i, w in items.items()], "doc_id long, text string")
+        assert decontaminate.contaminated(worst, bench).count() == 0
+
+
 def test_native_plan(spark, small):
     plan = decontaminate.judge(spark.read.parquet(f"{small}/documents.parquet"), spark.read.parquet(f"{small}/benchmark.parquet"))
     assert not re.search("Python|Pandas|Arrow", plan._jdf.queryExecution().toString())
@@ -317,6 +341,43 @@ def test_language_held_out(spark, small, odd, none):
     assert language_id.identify(none).count() == 0
 
 
+def test_network_matches_a_scalar_loop():
+    rng = np.random.default_rng(3)
+    net = language_id._fresh(["a", "b"], rng, 3)
+    a, x = net.arrays, rng.integers(0, 256, 7).astype(np.uint8)
+    sig = lambda v: 1 / (1 + math.exp(-v))
+
+    def states(way):
+        h, out = [0.0] * 3, [None] * 7
+        for t in range(7) if way == 0 else range(6, -1, -1):
+            drive = [float(a["embed"][way][k][x[t]]) for k in range(9)]
+            back = [sum(float(a["turn"][way][k][i]) * h[i] for i in range(3)) for k in range(9)]
+            new = []
+            for k in range(3):
+                reset, update = sig(drive[k] + back[k]), sig(drive[3 + k] + back[3 + k])
+                candidate = math.tanh(drive[6 + k] + reset * (back[6 + k] + float(a["bias"][way][k][0])))
+                new.append(candidate + update * (h[k] - candidate))
+            h = new
+            out[t] = h
+        return out
+    ahead, behind = states(0), states(1)
+    total = [0.0, 0.0]
+    for t in range(5):  # of seven positions the first five count
+        z = [math.exp(sum(float(a["out"][0][k][i]) * ahead[t][i] + float(a["out"][1][k][i]) * behind[t][i] for i in range(3)) + float(a["level"][k][0])) for k in range(2)]
+        total = [v + w / sum(z) for v, w in zip(total, z)]
+    got = language_id.position_sums(net, x[:, None], np.array([5]))
+    assert got[:, 0] == pytest.approx(total, abs=1e-4)
+
+
+def test_letters_and_sample_of_languages(spark):
+    assert not any(map(language_id.has_letter, ("\u00bd", "\u00b2", "\u2167", "\u2460", "12 _ !", ""))) and language_id.has_letter("1a") and language_id.has_letter("\u00e9")
+    rows = [(i, "one and the same text " * 20, "en") for i in range(500)] + [(1000 + i, f"text number {i} " * 30, "en") for i in range(50)] + [(2000, "kurz", "de")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(5)
+    segments, langs = language_id.sample(df, docs_each=10, segments_each=3)
+    assert langs.count("de") == 1 and langs.count("en") <= 30 and len(set(segments)) > 10
+    assert language_id.sample(df.repartition(2), docs_each=10, segments_each=3) == (segments, langs)
+
+
 # ---- personal data ----
 
 PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
@@ -406,6 +467,12 @@ def test_probabilities_sum_to_one(spark):
     ("<table><tr><th>Name<th>Qty<tr><td>apple<td>3<tr><td>fig<td colspan=2>12</table>after", "Name   Qty\napple  3\nfig    12\n\nafter"),
     ("<div hidden>no</div><p style='display: none'>n</p>yes<br>next<ol start=3><li>q<li>r</ol>", "yes\nnext\n\n3. q\n4. r"),
     ("x < y & z &lt;b&gt;", "x < y & z <b>"), ("<script>var t='</p>'</script>ok<!-- c --> fin", "ok fin"), ("", ""), ("<", "<"),
+    ("<table><tr><td rowspan=2>a<td>b<tr><td>c</table>", "a  b\n   c"), ("x<![CDATA[gone]]>y", "xy"),
+    ("<table><tr><td>a<td rowspan=3>b<td>c<tr><td>d<td>e<tr><td>f</table>", "a  b  c\nd     e\nf"),
+    ("<div style='visibility:hidden'>no<b style='visibility: visible'>yes</b></div>", "yes"),
+    ("<details><summary>s</summary>body</details><details open><summary>t</summary>more</details>", "s\nt\nmore"),
+    ("<style>.ad, #x{display:none} @media print{p{display:none}} p.q{display:none}</style><p class='ad b'>n<p id=x>n<p>see<p class=q>n", "see"),
+    ("<table><tr><td>" + "L" * 90 + "<td>z<tr><td>short<td>y<tr><td>longer<td>x</table>", "L" * 90 + "  z\nshort   y\nlonger  x"),
     ("<pre> a\n  b</pre>", " a\n  b"), ("</div></p>loose<li>item", "loose\n- item"), (None, None)])
 def test_rendering(page, text):
     assert html_text.extract(page) == text
