@@ -4,6 +4,8 @@ A digit is a run of successive bytes of the normalised text.  Documents split by
 groups of more than one text split again by the next, wider digit, until a group is a single text
 or its texts have ended.  Equality is decided by the bytes alone, never by a digest.
 
+The first digits of all texts are counted before: only texts that share theirs are written and split further.
+
 Skew: every task first runs the same radix on its own batches, so of a group of copies only one
 text per batch takes part in the shuffled rounds, however large the group is.  Counts combine
 before each shuffle, and the split table is written before it is joined, so that the join has two
@@ -54,15 +56,22 @@ def radix_classes(texts: list[bytes], first: int = FIRST_DIGIT, widen: int = WID
     return done
 
 
+def _heads(part: pa.RecordBatch) -> dict:
+    """First digits of a slice's different texts."""
+    blobs = {normalise(t) for t in part.column("text").to_pylist()}
+    return {"digit": [b[:FIRST_DIGIT] for b in blobs]}
+
+
 def _local(part: pa.RecordBatch, counter: list[int]) -> dict:
-    texts = part.column("text").to_pylist()
     ids = part.column("doc_id").to_pylist()
+    texts = part.column("text").to_pylist()
+    points = [len(t or "") for t in texts]
     blobs = [normalise(t) for t in texts]
+    del texts
     base = counter[0]
-    counter[0] += len(texts)
-    out = {"key": list(range(base, base + len(texts))), "doc_id": ids,
-           "n_points": [len(t or "") for t in texts], "rep_key": [0] * len(texts),
-           "text_sha256": [""] * len(texts), "digit": [None] * len(texts), "rest": [None] * len(texts)}
+    counter[0] += len(blobs)
+    out = {"key": list(range(base, base + len(blobs))), "rep_key": [0] * len(blobs), "doc_id": ids, "n_points": points,
+           "text_sha256": [""] * len(blobs), "digit": [None] * len(blobs), "rest": [None] * len(blobs)}
     for members in radix_classes(blobs):
         first = members[0]
         sha = hashlib.sha256(blobs[first]).hexdigest()
@@ -116,7 +125,15 @@ def exact_duplicates(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS) -> D
     """
     scratch = Scratch(docs.sparkSession, "exact")
     narrow = docs.select("doc_id", "text")
-    rows = scratch.save(map_text(narrow, _local, _LOCAL, setup=row_counter), "local")
+    heads = map_text(narrow.select("text"), _heads, "digit binary").groupBy("digit").agg(F.count("*").alias("n")).where("n > 1")
+    heads = scratch.save(heads.select("digit", F.lit(True).alias("again")), "recurring")
+    # only texts whose first digit recurs, in another slice or another text, are written
+    # rows that stand for no text have a join key of their own, so a shuffle does not gather them
+    at = F.coalesce("digit", F.encode(F.col("key").cast("string"), "UTF-8"))
+    rows = map_text(narrow, _local, _LOCAL, setup=row_counter).withColumn("at", at).join(
+        small_side(heads.withColumnRenamed("digit", "at"), broadcast_rows), "at", "left")
+    rows = scratch.save(rows.select("key", "rep_key", "doc_id", "n_points", "text_sha256", F.when(F.col("again"), F.col("digit")).alias("digit"),
+                                    F.when(F.col("again"), F.col("rest")).alias("rest")), "local")
     reps = rows.where("digit is not null").select("key", "digit", "rest")
     classes = scratch.save(radix_partition(reps, scratch, broadcast_rows=broadcast_rows), "classes")
     ids = rows.select("key", "rep_key", "doc_id", "n_points", "text_sha256")
