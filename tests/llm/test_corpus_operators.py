@@ -446,18 +446,63 @@ def test_quality(spark, odd, none):
     labels = spark.createDataFrame([(i, 1, 0) for i in range(200)], LABELS)
     got = {r.doc_id: r for r in quality.classify(docs, labels).collect()}
     assert sum(got[i].keep for i, *_ in rows) >= 297 and not any(got[i].keep for i, *_ in bad)
-    shards = {r.doc_id: r for r in quality.classify(docs, labels, shard_contexts=40).collect()}
-    assert all(shards[i].perplexity == pytest.approx(got[i].perplexity, rel=1e-5) for i in got)
+    shards = {r.doc_id: r for r in quality.classify(docs, labels, shard_grams=200).collect()}
+    assert all(shards[i].perplexity == got[i].perplexity for i in got)
     assert quality.classify(odd, labels.limit(0)).where("not keep").count() == 0
     assert len(quality.classify(odd, spark.createDataFrame([(4, 1, 0)], LABELS)).collect()) == len(ODD)
     assert quality.classify(none, labels).count() == 0
 
 
-def test_probabilities_sum_to_one(spark):
-    docs = spark.createDataFrame([("abcab cabca bcaab " * 5,), ("the cat sat on the mat",)], "text string")
-    model = quality.train(docs, Scratch(spark, "t"))
-    assert np.exp(model.low.astype(float)).sum(1) == pytest.approx(np.ones(quality.ALPHABET**2), abs=1e-3)
-    assert np.exp(model.shard(0, 1000).astype(float)).sum(1) == pytest.approx(np.ones(model.contexts), abs=1e-3)
+class BruteKneserNey:
+    """Interpolated modified Kneser-Ney of order four by dictionaries of strings."""
+
+    def __init__(self, texts):
+        grams = {4: {}}
+        for t in texts:
+            t = "\0\0\0" + t
+            for i in range(3, len(t)):
+                grams[4][t[i - 3:i + 1]] = grams[4].get(t[i - 3:i + 1], 0) + 1
+        for k in (3, 2, 1):
+            grams[k] = {}
+            for g in grams[k + 1]:
+                grams[k][g[1:]] = grams[k].get(g[1:], 0) + 1
+        self.grams, self.symbols, self.d = grams, len(set("".join(texts))) + 2, {}
+        for k, table in grams.items():
+            n = [max(1, sum(v == i for v in table.values())) for i in (1, 2, 3, 4)]
+            y = n[0] / (n[0] + 2 * n[1])
+            self.d[k] = [min(max(i - (i + 1) * y * n[i] / n[i - 1], 0.05), i - 0.05) for i in (1, 2, 3)]
+
+    def p(self, context, w):
+        if context is None:
+            return 1 / self.symbols
+        k = len(context) + 1
+        lower = self.p(context[1:] if context else None, w)
+        row = {g: n for g, n in self.grams[k].items() if g[:-1] == context}
+        total = sum(row.values())
+        if not total:
+            return lower
+        cut = lambda n: self.d[k][min(n, 3) - 1]
+        mine = row.get(context + w, 0)
+        return ((mine - cut(mine) if mine else 0) + sum(map(cut, row.values())) * lower) / total
+
+
+def test_model_matches_dictionaries(spark):
+    texts = ["abcab cabca bcaab " * 5, "the cat sat on the mat", "\u4e2d\u6587\u5b57\u7b26 \u4e2d\u6587", "a\U0001f600b" * 3, ""]
+    brute = BruteKneserNey(texts)
+    seen = [*texts, "the dog sat", "\u4e2d\u5b57\u6587 unseen \u00df", "", None]
+    docs = spark.createDataFrame([(i, "x", t) for i, t in enumerate(seen)], "doc_id long, lang string, text string")
+    trusted = docs.where(F.col("doc_id") < len(texts))
+    for most in (10**6, 20):
+        scratch = Scratch(spark, "t")
+        model = quality.train(trusted, scratch, most)
+        assert (model.shards > 1) == (most == 20)
+        for r in quality.score(docs, model, scratch).collect():
+            t = "\0\0\0" + (seen[r.doc_id] or "")
+            want = -sum(math.log(brute.p(t[i - 3:i], t[i])) for i in range(3, len(t)))
+            assert r.n_chars == len(t) - 3 and r.nll / quality.STEP == pytest.approx(want, rel=1e-5, abs=1e-6)
+    for context in ("the", "cab", "\0\0a", "zzz"):
+        total = sum(brute.p(context, w) for w in set("".join(texts))) + 2 * brute.p(context, "\1")
+        assert total == pytest.approx(1)
 
 
 # ---- HTML ----
