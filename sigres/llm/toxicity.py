@@ -18,14 +18,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sigres.llm import crf
 from sigres.llm.batches import map_text
 from sigres.llm.simhash import NEAR_JACCARD, NEAR_SHINGLE, shingle_hashes, words_of
+from sigres.plans.scratch import Scratch, small_side
 
-#: Expected number of toxic and of other documents that are learned from; bounds the sample.
+#: Toxic and other documents that are learned from, at most.
 SAMPLE_TOXIC, SAMPLE_OTHER = 1000, 2000
 #: A seed is in at least so many different toxic documents, in such a share of them, and is so many
 #: times as frequent in them as in others.
@@ -206,13 +207,16 @@ class Scorer:
 
 
 def sample(docs: DataFrame, labels: DataFrame, usable, toxic: int = SAMPLE_TOXIC, other: int = SAMPLE_OTHER) -> tuple[list[str], list[int]]:
-    """Texts and labels of about so many documents of either kind, chosen by the hash of the id."""
-    known = labels.where("doc_id is not null and toxic in (0, 1)").where(usable).select("doc_id", "toxic").distinct()
-    sizes = known.groupBy("toxic").count()
-    share = F.xxhash64("doc_id").bitwiseAND(F.lit((1 << 40) - 1)) / F.lit(float(1 << 40))
-    want = F.when(F.col("toxic") == 1, F.lit(toxic)).otherwise(F.lit(other))
-    chosen = known.join(F.broadcast(sizes), "toxic").where(share * F.col("count") < want).select("doc_id", "toxic")
-    rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), "doc_id").collect()
+    """Texts and labels of the documents of either kind with the smallest hashes of their id, so many at most.
+
+    A document with both labels counts as toxic; of rows that repeat an id the smallest text counts.
+    """
+    known = labels.where("doc_id is not null and toxic in (0, 1)").where(usable).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    place = F.row_number().over(Window.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id"))  # limited in each task before the shuffle
+    most = F.when(F.col("toxic") == 1, F.lit(toxic)).otherwise(F.lit(other))
+    chosen = known.withColumn("n", place).where((F.col("n") <= max(toxic, other)) & (F.col("n") <= most)).select("doc_id", "toxic")
+    chosen = small_side(Scratch(docs.sparkSession, "toxic").save(chosen, "sample"), 1_000_000)
+    rows = docs.select("doc_id", "text").where("text is not null").join(chosen, "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text")).collect()
     rows.sort(key=lambda r: (r.doc_id, r.text))
     return [r.text for r in rows], [int(r.toxic) for r in rows]
 

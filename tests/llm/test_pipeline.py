@@ -40,3 +40,15 @@ def test_stages_on_odd_and_no_rows(spark, small):
             got.count()
     kept = corpus_pipeline.exact_dedup_stage(spark, odd, small).collect()
     assert sorted((r.doc_id or 0) for r in kept) == [0, 3, 4, 6, 7]
+
+
+def test_clashing_columns_and_repeated_ids(spark, small):
+    names = ("_gone", "_again", "_norm", "_bad", "_leak", "rejected", "leaking", "id", "class", "keep", "label", "row")
+    more = ", ".join(f"{n} string" for n in names)
+    rows = [(*r, *names) for r in ODD] + [(8, "The same  text here. ", "fr", "a", 1, "k", 0.7, *names)]
+    df = spark.createDataFrame(rows, f"{SCHEMA}, {more}")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        got = stage(spark, df, small)
+        assert got.columns == df.columns and all(tuple(r)[-len(names):] == names for r in got.collect())
+    kept = [r.text for r in corpus_pipeline.exact_dedup_stage(spark, df, small).collect() if r.doc_id == 8]
+    assert len(kept) <= 1
