@@ -19,10 +19,16 @@ from sigres.sources.tables import load_table
 BROADCAST_IDS = 1_000_000
 
 
+def _matching(docs: DataFrame, ids: DataFrame, label: str, how: str) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is ('left_semi') or is not ('left_anti') in ``ids``; other columns may have any names."""
+    ids = Scratch(docs.sparkSession, label).save(ids.select("doc_id").distinct(), "ids")
+    mine, others = docs.alias("documents_here"), small_side(ids, BROADCAST_IDS).alias("documents_there")
+    return mine.join(others, F.col("documents_here.doc_id").eqNullSafe(F.col("documents_there.doc_id")), how)
+
+
 def _without(docs: DataFrame, dropped: DataFrame, label: str) -> DataFrame:
     """The rows of ``docs`` whose doc_id is not in ``dropped``."""
-    gone = Scratch(docs.sparkSession, label).save(dropped.select(F.col("doc_id").alias("_gone")).distinct(), "gone")
-    return docs.join(small_side(gone, BROADCAST_IDS), docs["doc_id"].eqNullSafe(F.col("_gone")), "left_anti")
+    return _matching(docs, dropped, label, "left_anti")
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,7 +39,7 @@ def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each group of equal texts stays.
 
-    Rows that repeat a doc_id with an equal text are one row afterwards.
+    Rows that repeat a doc_id with an equal text are one row afterwards, the one with the longest text.
     """
     judged = exact_dedup.exact_duplicates(docs)
     # the id of a row that stays may also be that of a dropped row, if the row is repeated
@@ -43,10 +49,12 @@ def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     repeated = found.where("stays")
     if not repeated.take(1):
         return kept
-    again = repeated.select(F.col("doc_id").alias("_again"))
-    once = docs.join(small_side(again, BROADCAST_IDS), docs["doc_id"].eqNullSafe(F.col("_again")), "left_semi")
-    once = once.withColumn("_norm", F.regexp_replace(F.coalesce("text", F.lit("")), r"[\x20\x09-\x0D]", ""))
-    once = once.dropDuplicates(["doc_id", "_norm"]).drop("_norm")
+    once = _matching(docs, repeated, "again", "left_semi")
+    # the longest name and more is no column's name
+    norm = max(docs.columns, key=len) + "_normalised"
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    once = once.withColumn(norm, F.regexp_replace(F.coalesce("text", F.lit("")), r"[\x20\x09-\x0D]", ""))
+    once = once.groupBy("doc_id", norm).agg(F.max_by(row, F.struct(F.length("text"), "text")).alias("row")).select("row.*")
     return _without(kept, repeated, "repeated").unionByName(once)
 
 
