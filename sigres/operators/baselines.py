@@ -137,6 +137,24 @@ def weighted_similarity_link(features: DataFrame, names: list[str], least: float
     return features.where(mean >= least).select("lo", "hi")
 
 
+def tuned_similarity_link(features: DataFrame, names: list[str], folds: int = 5, steps: int = 40) -> DataFrame:
+    """``weighted_similarity_link`` at the threshold, of ``steps``, that has the best F on the other folds of ``key``.
+
+    Only counts by fold, step and label reach the driver.
+    """
+    mean = sum((F.col(n) for n in names), F.lit(0.0)) / len(names)
+    scored = features.withColumn("step", F.floor(mean * steps)).withColumn("fold", _fold(F.col("key"), folds))
+    counts = {(r.fold, r.step, r.label): r["count"] for r in scored.groupBy("fold", "step", "label").count().collect()}
+
+    def f(step: int, out: int) -> float:
+        own = [(s, y, n) for (k, s, y), n in counts.items() if k != out]
+        tp, fp = (sum(n for s, y, n in own if s >= step and y == label) for label in (1, 0))
+        return 2 * tp / max(1, tp + fp + sum(n for _, y, n in own if y == 1))
+    chosen = [max(range(steps + 1), key=lambda t: (f(t, k), t)) for k in range(folds)]
+    least = F.element_at(F.array(*[F.lit(t) for t in chosen]), F.col("fold").cast("int") + 1)
+    return scored.where(F.col("step") >= least).select("lo", "hi")
+
+
 def llr_weights(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 60) -> tuple[list[float], list[float], float]:
     """m and u probabilities per field and the share of matches, by EM over agreement patterns with counts."""
     fields = len(patterns[0][0])

@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from sigres.plans import comparisons, methods, relational, streams
+from sigres.plans import comparisons, methods, relational, streams, tables
 
-_MODULES = (methods, comparisons, relational, streams)
+_MODULES = (methods, comparisons, relational, streams, tables)
 
 
 def queries() -> dict:

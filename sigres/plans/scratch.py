@@ -1,12 +1,14 @@
 """Intermediate tables that survive the loss of executors.
 
 Lineage is cut by writing Parquet into the folder that all executors share, the one the cluster
-names in ``spark.checkpoint.dir``.  Only where that is unset (tests in local mode) a folder of our
-own is made.
+names in ``spark.checkpoint.dir``.  Only where that is unset in local mode, as in tests, a folder of
+our own is made, and removed when Python ends; a result must be read before.
 """
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -17,12 +19,18 @@ _OWN: dict[str, str] = {}
 
 
 def shared_root(spark: SparkSession) -> str:
+    """The folder that all executors share; on a cluster without one this is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
-        _OWN[app] = "file://" + tempfile.mkdtemp(prefix="sigres-")
+        folder = tempfile.mkdtemp(prefix="sigres-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        _OWN[app] = "file://" + folder
     return _OWN[app]
 
 

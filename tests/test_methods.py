@@ -250,6 +250,39 @@ def test_exhaustive_comparison_is_refused(spark, monkeypatch):
         baselines.all_pairs(records(spark, [(i, ["a"]) for i in range(3)]), verify.by_levenshtein("name", 1), ["name"])
 
 
+def test_scratch_needs_a_shared_folder_on_a_cluster():
+    from types import SimpleNamespace
+
+    from sigres.plans import scratch
+    for master in ("yarn", "spark://a:7077", "local-cluster[2,1,1024]"):
+        fake = SimpleNamespace(conf=SimpleNamespace(get=lambda k, d: None), sparkContext=SimpleNamespace(master=master, applicationId="x"))
+        with pytest.raises(RuntimeError):
+            scratch.shared_root(fake)
+
+
+def test_queries_without_the_corpus_subpackage(tmp_path):
+    """With the corpus folders gone the entry module still imports and has the library's queries."""
+    import os
+    import shutil
+    import subprocess
+    import sys
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    shutil.copytree(root, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "llm", "corpus_pipeline.py", "__pycache__"))
+    said = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), any(k.startswith('op') for k in e.queries()))"],
+                          cwd=tmp_path / "r", capture_output=True, text=True, env={k: v for k, v in os.environ.items() if k != "PYTHONPATH"})
+    n, corpus = said.stdout.split()[-2:]
+    assert int(n) > 200 and corpus == "False"
+
+
+def test_held_out_tuning(spark):
+    from sigres.operators import tuning
+    rows = [(2 * i, 2 * i + 1, f"s{j}", 2) for i in range(40) for j in range(3)] + [(2 * i, 2 * i + 3, "x", 3) for i in range(20)]
+    shared = spark.createDataFrame(rows, "lo long, hi long, sig string, k long")
+    truth = spark.createDataFrame([(2 * i, 2 * i + 1) for i in range(45)], "lo long, hi long")
+    points = tuning.grid([2.0], [0.1], [0.1, 0.5], [0.3, 0.9, 0.9999])
+    assert tuning.tune_held_out(shared, truth, points) == (40, 0, 5)
+
+
 def test_entry_without_corpus_operators(spark, small):
     import __spark_entry__
     assert __spark_entry__.entry(spark).count() > 0
