@@ -48,6 +48,8 @@ SEGMENT_BITS, SEGMENTS_PER_LANE, LANES = 20, 3, 6
 SKETCH_BITS = 18
 #: Similarity of a verified pair from which on the classes of its ends are compared member by member, and documents of a block that is compared.
 FLOOR, BLOCK = 0.5, 256
+#: Edges of which a worker makes a forest at once.
+FOREST_EDGES = 200_000
 #: Rows of a bucket that a worker holds.
 RUN = 4096
 #: Rows up to which an id table is broadcast (about 16 bytes each).
@@ -127,25 +129,29 @@ def variants(nodes: DataFrame, lanes: list[str], bits: int, per_lane: int) -> Da
 def _spanning(sketch: np.ndarray, ids: np.ndarray, most: int) -> list[tuple[int, int]]:
     """Edges of a minimum spanning forest over pairs that differ in ``most`` bits or fewer.
 
-    On the forest's path between two such rows no edge differs in more bits than they do.
+    On the forest's path between two such rows no edge differs in more bits than they do.  Of equally
+    close pairs the one of smaller ids comes first, whatever the rows' order.
     """
     n = len(ids)
     forest: list[tuple[int, int]] = []
     if n <= 512 and (np.bitwise_count(sketch[:, None] ^ sketch[None, :]) <= most).sum() == n:
         return forest
-    best, parent = np.full(n, 255, np.uint8), np.zeros(n, np.int64)
+    order = np.argsort(ids, kind="stable")
+    sketch, ids = sketch[order], ids[order]
+    place, step = np.arange(n), n * n  # an edge's rank: bits, then the lesser end, then the other
+    none = 65 * step
+    best, parent = np.full(n, none), np.zeros(n, np.int64)
     open_ = np.ones(n, bool)
     for _ in range(n):
-        rank = np.where(open_, best, 255)
-        at = int(rank.argmin())
-        if not open_[at] or best[at] > most:
+        at = int(best.argmin())
+        if best[at] >= (most + 1) * step:
             at = int(open_.argmax())
         else:
             forest.append((int(ids[parent[at]]), int(ids[at])))
-        open_[at] = False
-        d = np.bitwise_count(sketch ^ sketch[at])
-        nearer = open_ & (d < best)
-        best[nearer], parent[nearer] = d[nearer], at
+        open_[at], best[at] = False, none
+        rank = np.bitwise_count(sketch ^ sketch[at]).astype(np.int64) * step + np.minimum(place, at) * n + np.maximum(place, at)
+        nearer = open_ & (rank < best)
+        best[nearer], parent[nearer] = rank[nearer], at
     return forest
 
 
@@ -343,6 +349,33 @@ def _labelled(ids: DataFrame, edges: DataFrame, scratch: Scratch) -> DataFrame:
     return ids.join(small_side(linked, BROADCAST_ROWS), "id", "left").select("id", F.coalesce("entity_id", "id").alias("label"))
 
 
+def _spanned(edges, up: dict[int, int]) -> list[tuple[int, int]]:
+    """The edges that join what those before them, kept in ``up``, did not."""
+    def root(v):
+        while (above := up.setdefault(v, v)) != v:
+            up[v] = up[above]
+            v = above
+        return v
+    out = []
+    for a, b in edges:
+        ra, rb = root(a), root(b)
+        if ra != rb:
+            up[max(ra, rb)] = min(ra, rb)
+            out.append((a, b))
+    return out
+
+
+def _thinned(edges: DataFrame, most: int = FOREST_EDGES) -> DataFrame:
+    """Scratch table (a, b) -> edges that reach as far: a spanning forest of every ``most`` edges or fewer."""
+    def run(batches):
+        up: dict[int, int] = {}
+        for batch in batches:
+            out = _spanned(zip(batch.column("a").to_pylist(), batch.column("b").to_pylist()), up)
+            yield pa.RecordBatch.from_arrays([pa.array([e[i] for e in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
+
+    return edges.repartition(-(-max(edges.count(), 1) // most)).mapInArrow(run, "a long, b long")
+
+
 def _compare(batches: Iterator[pa.RecordBatch], jaccard: float) -> Iterator[pa.RecordBatch]:
     """Rows (cluster, first, second, block, id, label, hashes) sorted by the first three -> links (a, b) of labels.
 
@@ -373,18 +406,7 @@ def _compare(batches: Iterator[pa.RecordBatch], jaccard: float) -> Iterator[pa.R
         total = sizes[x][:, None] + sizes[y][None, :]
         i, j = np.nonzero((shared >= jaccard * (total - shared)) & (label[x][:, None] != label[y][None, :]))
         joined = np.unique(np.sort(np.stack([label[x[i]], label[y[j]]], 1), axis=1), axis=0)
-        up: dict[int, int] = {}
-
-        def root(v):
-            while up.setdefault(v, v) != v:
-                v = up[v]
-            return v
-        out = []
-        for a, b in joined.tolist():
-            ra, rb = root(a), root(b)
-            if ra != rb:
-                up[max(ra, rb)] = min(ra, rb)
-                out.append((a, b))
+        out = _spanned(joined.tolist(), {})
         return pa.RecordBatch.from_arrays([pa.array([e[i] for e in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
     held = None
@@ -452,7 +474,8 @@ def near_duplicates(docs: DataFrame, jaccard: float = NEAR_JACCARD, shingle: int
     labels = scratch.save(_labelled(needed, edges, scratch), "labels")
     # classes that a similar pair connects without linking them are one cluster
     of = lambda end: small_side(labels, BROADCAST_ROWS).select(F.col("id").alias(end), F.col("label").alias(f"{end}_label"))
-    weak = judged.where("not linked").join(of("a"), "a").join(of("b"), "b").where("a_label <> b_label")
+    weak = scratch.save(_thinned(judged.where("not linked").select("a", "b")), "similar")
+    weak = weak.join(of("a"), "a").join(of("b"), "b").where("a_label <> b_label")
     weak = scratch.save(weak.select(F.col("a_label").alias("a"), F.col("b_label").alias("b")).distinct(), "weak")
     if weak.take(1):
         clusters = scratch.save(connected_components(weak).select(F.col("rid").alias("label"), F.col("entity_id").alias("cluster")), "clusters")
