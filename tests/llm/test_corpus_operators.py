@@ -222,6 +222,28 @@ def test_recall_by_size_of_class(spark):
     assert all(want.get(i) == want.get(c) for i, c in got.items())
 
 
+def test_thinned_edges_reach_as_far(spark):
+    rng = random.Random(8)
+    edges = [(rng.randrange(150), rng.randrange(150)) for _ in range(170)] * 3
+    want = components_local(edges)
+    for most in (1, 7, 60, 10_000):
+        frame = Scratch(spark, "t").save(spark.createDataFrame(edges, "a long, b long"), "edges")
+        got = [tuple(r) for r in simhash._thinned(frame, most).collect()]
+        assert components_local(got) == {k: v for k, v in want.items() if k in {x for e in got for x in e}}
+        assert {frozenset(x) for x in got} <= {frozenset(x) for x in edges}
+        assert {k for k, v in want.items() if list(want.values()).count(v) > 1} <= {x for e in got for x in e}
+    assert len(got) < 150
+    assert simhash._thinned(Scratch(spark, "t").save(spark.createDataFrame([], "a long, b long"), "edges")).count() == 0
+
+
+def test_forests_do_not_depend_on_the_order_of_rows():
+    rng = np.random.default_rng(3)
+    sketch, ids = rng.integers(0, 1 << 6, 60).astype(np.uint64), rng.permutation(1000)[:60]
+    edges = lambda order: {frozenset(e) for e in simhash._spanning(sketch[order], ids[order], 2)}
+    first = edges(np.arange(60))
+    assert first and all(edges(rng.permutation(60)) == first for _ in range(20))
+
+
 def test_links_across_classes_that_no_forest_has(spark):
     # a and b are alike, x is between them and like neither: only the comparison inside the cluster joins a and b
     whole = list(range(100))
