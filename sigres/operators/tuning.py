@@ -22,7 +22,8 @@ def _linked(pairs: DataFrame, truth: DataFrame, points: list[tuple[float, float,
     p depends on k only, so a pair is scored from the number of its candidates of each k; the
     postings and counts are made once for all points.
     """
-    scored = recurrences(pairs).join(truth.select("lo", "hi", F.lit(1).alias("t")), ["lo", "hi"], "left")
+    # neither side's size is known before it is made, so neither may be broadcast
+    scored = recurrences(pairs).hint("merge").join(truth.select("lo", "hi", F.lit(1).alias("t")), ["lo", "hi"], "left")
     cells = F.explode(F.array(*[F.struct(*[F.lit(x).alias(n) for n, x in zip(("a", "b", "rho", "tau", "most"), p)]) for p in points])).alias("g")
     rows = scored.select("lo", "hi", "ks", "t", cells)
 

@@ -282,3 +282,15 @@ def test_local_components_of_many_edges(spark, monkeypatch):
     monkeypatch.setattr(comparisons.fx, "bipartite_edges", lambda s, d: path)
     got = comparisons.QUERIES["b13_local"](spark, "").groupBy("entity_id").count().collect()
     assert [(r.entity_id, r["count"]) for r in got] == [(0, 200_101)]
+
+
+def joins_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["a02_best_f"])
+def test_postings_are_not_broadcast(spark, small, name):
+    """Postings look as small as the file they are exploded from; their size must not depend on that guess."""
+    from sigres.plans import catalog
+    plan = joins_of(catalog.queries()[name](spark, small))
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
