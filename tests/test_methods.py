@@ -288,7 +288,7 @@ def joins_of(df):
     return df._jdf.queryExecution().executedPlan().toString()
 
 
-@pytest.mark.parametrize("name", ["a02_best_f", "m16_tune", "m21_skip", "udaf_noisy_or", "a08_link_economy", "m18_index", "m19_pairs_cross", "m20_eliminate_contiguous", "m20_eliminate_gapped", "m31_scope_both"])
+@pytest.mark.parametrize("name", ["a02_best_f", "m16_tune", "m21_skip", "udaf_noisy_or", "a08_link_economy", "m18_index", "m19_pairs_cross", "m20_eliminate_contiguous", "m20_eliminate_gapped", "m31_scope_both", "m31_scope_cross"])
 def test_postings_are_not_broadcast(spark, small, name):
     """Postings look as small as the file they are exploded from; their size must not depend on that guess."""
     from sigres.plans import catalog
