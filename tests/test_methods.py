@@ -294,3 +294,31 @@ def test_postings_are_not_broadcast(spark, small, name):
     from sigres.plans import catalog
     plan = joins_of(catalog.queries()[name](spark, small))
     assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
+def _edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a):
+        row, last = [i + 1], row
+        for j, y in enumerate(b):
+            row.append(min(last[j + 1] + 1, row[j] + 1, last[j] + (x != y)))
+    return row[-1]
+
+
+def test_edit_links_match_brute_force_beyond_the_bound(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "ALL_PAIRS_ROWS", 2)
+    monkeypatch.setattr(baselines, "TILE", 7)
+    rng = random.Random(5)
+    rows = [(i, i % 2, "".join(rng.choice("abä ") for _ in range(rng.randint(0, 8)))) for i in range(70)]
+    df = spark.createDataFrame(rows, "rid long, source int, t string")
+    got = {tuple(r) for r in baselines.edit_links(df, F.col("t"), 2).collect()}
+    first = {}
+    for i, _, t in rows:
+        first.setdefault(t, i)
+    assert got == {(i, first[t], sum(_edits(t, u) <= 2 for _, o, u in rows if o != n)) for i, n, t in rows}
+
+
+def test_all_pairs_query_of_more_records_than_the_bound(spark, small, monkeypatch):
+    from sigres.plans import catalog
+    monkeypatch.setattr(baselines, "ALL_PAIRS_ROWS", 2)
+    assert catalog.queries()["b01_all_pairs"](spark, small).count() == 2 * spark.read.parquet(f"{small}/part.parquet").count()
