@@ -322,3 +322,25 @@ def test_all_pairs_query_of_more_records_than_the_bound(spark, small, monkeypatc
     from sigres.plans import catalog
     monkeypatch.setattr(baselines, "ALL_PAIRS_ROWS", 2)
     assert catalog.queries()["b01_all_pairs"](spark, small).count() == 2 * spark.read.parquet(f"{small}/part.parquet").count()
+
+
+def _vectors(seed, n=60):
+    rng = random.Random(seed)
+    rows = [(i, [float(rng.randint(-3, 3)) for _ in range(4)]) for i in range(n - 2)]
+    return [*rows, (n - 2, [0.0] * 4), (n - 1, rows[0][1]), (n, None)]
+
+
+def _cosine(x, y):
+    size = math.sqrt(sum(a * a for a in x) * sum(b * b for b in y)) if x and y else 0
+    return sum(a * b for a, b in zip(x, y)) / size if size else -2
+
+
+def test_cosine_links_match_brute_force_beyond_the_bound(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "ALL_PAIRS_ROWS", 2)
+    monkeypatch.setattr(baselines, "TILE", 5)
+    rows = _vectors(6)
+    df = spark.createDataFrame(rows, "rid long, v array<float>")
+    for least in (0.41, 0.83, -0.5):
+        got = {tuple(r) for r in baselines.cosine_links(df, least).collect()}
+        want = {(i, min(j for j, y in rows if y == x), sum(_cosine(x, y) >= least for j, y in rows if j != i)) for i, x in rows}
+        assert got == want
