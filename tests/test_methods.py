@@ -344,3 +344,17 @@ def test_cosine_links_match_brute_force_beyond_the_bound(spark, monkeypatch):
         got = {tuple(r) for r in baselines.cosine_links(df, least).collect()}
         want = {(i, min(j for j, y in rows if y == x), sum(_cosine(x, y) >= least for j, y in rows if j != i)) for i, x in rows}
         assert got == want
+
+
+def test_nearest_of_queries_matches_brute_force_beyond_the_bound(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "ALL_PAIRS_ROWS", 2)
+    monkeypatch.setattr(baselines, "TILE", 5)
+    rows = _vectors(8)
+    df = spark.createDataFrame(rows, "rid long, v array<float>")
+    got = {(r.rid, r.near) for r in baselines.cosine_nearest(df.where("rid % 3 = 0"), df, 0.6).collect()}
+    want = set()
+    for i, x in rows:
+        best = max((round(_cosine(x, y), 12), -j) for j, y in rows if j != i)
+        if i % 3 == 0 and best[0] >= 0.6:
+            want.add((i, -best[1]))
+    assert got == want
