@@ -358,3 +358,20 @@ def test_nearest_of_queries_matches_brute_force_beyond_the_bound(spark, monkeypa
         if i % 3 == 0 and best[0] >= 0.6:
             want.add((i, -best[1]))
     assert got == want
+
+
+def test_jaccard_links_count_what_brute_force_finds(spark):
+    rng = random.Random(3)
+    rows = [(i, [f"w{rng.randrange(12)}" for _ in range(rng.randint(0, 8))]) for i in range(90)]
+    df = records(spark, rows)
+    sets = {i: set(w) for i, w in rows}
+    for least in (0.2, 0.6, 1.0):
+        got = {tuple(r) for r in baselines.jaccard_links(df, F.col("name"), least).collect()}
+        want = {(i, min(j for j in sets if sets[j] == x), sum(len(x & y) >= least * len(x | y) for j, y in sets.items() if j != i and x and y)) for i, x in sets.items()}
+        assert got == want
+
+
+def test_jaccard_query_does_not_expand_copies(spark, small):
+    from sigres.plans import catalog
+    got = catalog.queries()["b05_distance_jaccard"](spark, small)
+    assert got.columns == ["rid", "class_id", "links"] and got.count() == 2 * spark.read.parquet(f"{small}/part.parquet").count()
