@@ -377,7 +377,7 @@ def test_jaccard_query_does_not_expand_copies(spark, small):
     assert got.columns == ["rid", "class_id", "links"] and got.count() == 2 * spark.read.parquet(f"{small}/part.parquet").count()
 
 
-@pytest.mark.parametrize("name, table", [("m04_street_world", "customer"), ("m14_curves", "orders"), ("m17_kmax", "orders"), ("m29_toy_components", "events")])
+@pytest.mark.parametrize("name, table", [("m04_street_world", "customer"), ("m14_curves", "orders"), ("m17_kmax", "orders"), ("m29_toy_components", "events"), ("rel_recursive_cte", "orders")])
 def test_query_reads_a_given_table(spark, small, agrees, name, table):
     from sigres.plans import catalog
     frame = fx.event_edges(spark, small) if name == "m29_toy_components" else catalog.queries()[name](spark, small)
