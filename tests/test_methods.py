@@ -383,3 +383,13 @@ def test_query_reads_a_given_table(spark, small, agrees, name, table):
     frame = fx.event_edges(spark, small) if name == "m29_toy_components" else catalog.queries()[name](spark, small)
     assert any(f.endswith(f"{table}.parquet") for f in frame.inputFiles())
     agrees(catalog.queries()[name], catalog.oracles()[name])
+
+
+def test_trees_see_patterns_and_not_pairs(spark, monkeypatch):
+    seen, fit = [], baselines.GBTClassifier.fit
+    monkeypatch.setattr(baselines.GBTClassifier, "fit", lambda self, df: seen.append(df.count()) or fit(self, df))
+    rows = [(i, i + 1, i % 5, int(i % 3 == 0), 1.0 if i % 3 == 0 else 0.25, 0.5 if i % 2 else 0.0) for i in range(600)]
+    df = spark.createDataFrame(rows, "lo long, hi long, key long, label int, s1 double, s2 double")
+    got = {r.lo for r in baselines.supervised_link(df, ["s1", "s2"], "tree").collect()}
+    assert got == {i for i in range(600) if i % 3 == 0}
+    assert len(seen) == 5 and max(seen) <= 16
