@@ -16,28 +16,36 @@ def grid(as_, bs, rhos, taus) -> list[tuple[float, float, float, float, int]]:
     return [(a, b, r, t, k_max(r, a, b)) for a in as_ for b in bs for r in rhos for t in taus]
 
 
-def _linked(pairs: DataFrame, truth: DataFrame, points: list[tuple[float, float, float, float, int]]) -> DataFrame:
-    """A row per grid point and pair that it links: lo, hi, g, and t, which is null for a pair that is not true.
+def _linked(pairs: DataFrame, truth: DataFrame, points: list[tuple[float, float, float, float, int]], *keys: Column) -> DataFrame:
+    """A row per grid point, pattern of recurrences that it links, and keys: g, n pairs, and t, which is null if they are not true.
 
     p depends on k only, so a pair is scored from the number of its candidates of each k; the
-    postings and counts are made once for all points.
+    postings and counts are made once for all points.  Pairs are counted by pattern before the points
+    are tried: there are few patterns, however many pairs.
     """
     # neither side's size is known before it is made, so neither may be broadcast
     scored = recurrences(pairs).hint("merge").join(truth.select("lo", "hi", F.lit(1).alias("t")), ["lo", "hi"], "left")
+    patterns = scored.groupBy(*keys, F.map_entries("ks").alias("ks"), "t").agg(F.count("*").alias("n"))
     cells = F.explode(F.array(*[F.struct(*[F.lit(x).alias(n) for n, x in zip(("a", "b", "rho", "tau", "most"), p)]) for p in points])).alias("g")
-    rows = scored.select("lo", "hi", "ks", "t", cells)
+    rows = patterns.select("*", cells)
 
     def doubt(k: Column, n: Column) -> Column:
         x = k * F.ln("g.a") + F.ln("g.b")
         return F.when(k <= F.col("g.most"), -n * F.log1p(F.exp(-x))).otherwise(F.lit(0.0))
-    total = F.aggregate(F.map_entries("ks"), F.lit(0.0), lambda s, e: s + doubt(e["key"], e["value"]))
+    total = F.aggregate("ks", F.lit(0.0), lambda s, e: s + doubt(e["key"], e["value"]))
     return rows.where(total < F.log1p(-F.col("g.tau")))
 
 
+def _tp_fp() -> tuple[Column, Column]:
+    """True and false pairs among the patterns that are linked."""
+    of = lambda test, name: F.coalesce(F.sum(F.when(test, F.col("n"))), F.lit(0)).alias(name)
+    return of(F.col("t").isNotNull(), "tp"), of(F.col("t").isNull(), "fp")
+
+
 def tune(pairs: DataFrame, truth: DataFrame, points: list[tuple[float, float, float, float, int]]) -> DataFrame:
     """pairs (lo, hi, sig, k) up to the largest k_max -> a row per grid point: a, b, rho, tau, tp, fp, fn, rates."""
     linked, truths = _linked(pairs, truth, points), truth.count()
-    n = linked.groupBy("g.a", "g.b", "g.rho", "g.tau").agg(F.count("t").alias("tp"), (F.count("*") - F.count("t")).alias("fp"))
+    n = linked.groupBy("g.a", "g.b", "g.rho", "g.tau").agg(*_tp_fp())
     return with_rates(n.withColumn("fn", F.lit(truths) - F.col("tp")))
 
 
@@ -53,7 +61,7 @@ def f_measure(tp: int, fp: int, fn: int) -> float:
 def tune_held_out(pairs: DataFrame, truth: DataFrame, points: list[tuple[float, float, float, float, int]], folds: int = 5) -> tuple[int, int, int]:
     """(tp, fp, fn) over all folds, each scored at the point that is best on the others; only counts reach the driver."""
     fold = fold_of(folds).alias("fold")
-    rows = _linked(pairs, truth, points).groupBy(fold, "g.a", "g.b", "g.rho", "g.tau").agg(F.count("t").alias("tp"), (F.count("*") - F.count("t")).alias("fp")).collect()
+    rows = _linked(pairs, truth, points, fold).groupBy("fold", "g.a", "g.b", "g.rho", "g.tau").agg(*_tp_fp()).collect()
     truths = {r.fold: r["count"] for r in truth.groupBy(fold).count().collect()}
     counts = {(r.fold, (r.a, r.b, r.rho, r.tau)): (r.tp, r.fp) for r in rows}
     total = [0, 0, 0]

@@ -393,3 +393,22 @@ def test_trees_see_patterns_and_not_pairs(spark, monkeypatch):
     got = {r.lo for r in baselines.supervised_link(df, ["s1", "s2"], "tree").collect()}
     assert got == {i for i in range(600) if i % 3 == 0}
     assert len(seen) == 5 and max(seen) <= 16
+
+
+def test_grid_points_meet_patterns_and_not_pairs(spark):
+    """The points of a grid are tried on counted patterns of recurrences: 4 here, with their truth, for 300 pairs."""
+    from sigres.operators import tuning
+    rows = [(2 * i, 2 * i + 1, f"s{j}", 2 + j) for i in range(300) for j in range(1 + i % 2)]
+    shared = spark.createDataFrame(rows, "lo long, hi long, sig string, k long")
+    truth = spark.createDataFrame([(2 * i, 2 * i + 1) for i in range(0, 300, 3)] + [(1, 2)], "lo long, hi long")
+    points = tuning.grid([2.0], [0.1], [0.1, 0.5], [0.3, 0.7, 0.8])
+    assert tuning._linked(shared, truth, points).count() <= 4 * len(points)
+
+    def linked(i, p):
+        a, b, _, tau, most = p
+        return 1 - math.prod(1 - 1 / (1 + a ** k * b) for k in range(2, 3 + i % 2) if k <= most) > tau
+    for r in tuning.tune(shared, truth, points).collect():
+        p = next(p for p in points if p[:4] == (r.a, r.b, r.rho, r.tau))
+        hit = [i for i in range(300) if linked(i, p)]
+        tp = sum(i % 3 == 0 for i in hit)
+        assert (r.tp, r.fp, r.fn) == (tp, len(hit) - tp, 101 - tp)
