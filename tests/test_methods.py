@@ -412,3 +412,39 @@ def test_grid_points_meet_patterns_and_not_pairs(spark):
         hit = [i for i in range(300) if linked(i, p)]
         tp = sum(i % 3 == 0 for i in hit)
         assert (r.tp, r.fp, r.fn) == (tp, len(hit) - tp, 101 - tp)
+
+
+@pytest.mark.parametrize("rows, tile", [(4000, 1000), (2, 3)])
+def test_block_patterns_count_every_pair_of_a_block(spark, small, monkeypatch, rows, tile):
+    """However blocks are dealt and tiled, the counts are those of the pairs themselves."""
+    monkeypatch.setattr(baselines, "BLOCK_ROWS", rows)
+    monkeypatch.setattr(baselines, "TILE", tile)
+    rng = random.Random(4)
+    word = lambda n: [rng.choice("abcd") for _ in range(rng.randint(0, n))]
+    people = [(rng.choice(["p", "q", "r", None]), k, word(4), word(1), source) for k in range(40) for source in (0, 1) if rng.random() < 0.8]
+    people += [("left", 50, ["a"], [], 0), ("right", 51, ["a"], [], 1)]
+    df = spark.createDataFrame(people, "block string, key long, u array<string>, v array<string>, source int")
+    got = baselines.block_patterns(df.where("source = 0"), df.where("source = 1"), ["u", "v"])
+    alike = lambda a, b: len(set(a) & set(b)) / len(set(a) | set(b)) if a or b else 1.0
+    want = {}
+    for p in people:
+        for q in people:
+            if p[4] == 0 and q[4] == 1 and p[0] is not None and p[0] == q[0]:
+                pattern = (p[1] % 5, float(p[1] == q[1]), alike(p[2], q[2]), alike(p[3], q[3]))
+                want[pattern] = want.get(pattern, 0) + 1
+    assert {tuple(r)[:-1]: r.weight for r in got.collect()} == want
+
+
+def test_svm_query_learns_what_every_pair_says(spark, small, monkeypatch):
+    """The query sees at most so many rows, and its result is that of an SVM on every pair."""
+    from sigres.plans import catalog
+    want = comparisons._scored(baselines.supervised_link(comparisons.features(spark, small), comparisons._SIMS, "svm"), spark, small).collect()
+    seen, fit = [], baselines.LinearSVC.fit
+    monkeypatch.setattr(baselines.LinearSVC, "fit", lambda self, df: seen.append(df.count()) or fit(self, df))
+    got = catalog.queries()["b10_svm"](spark, small)
+    assert got.columns == ["tp", "fp", "fn", "precision", "recall", "f"] and got.collect() == want
+    monkeypatch.setattr(baselines, "SVM_ROWS", 40)
+    every = max(seen)
+    seen.clear()
+    catalog.queries()["b10_svm"](spark, small).collect()
+    assert len(seen) == 5 and max(seen) < every
