@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from sigres.functions.posterior import posterior
 from sigres.functions.udtf import noisy_or, register
 from sigres.operators import candidates as fam
 from sigres.operators import resolve
@@ -147,9 +148,20 @@ def _(s, d):
     return s.sql("SELECT sig, count(*) AS n FROM small_parts, LATERAL subrecords(t, 3) GROUP BY sig")
 
 
+def joint(shared, a: float, b: float, scratch: Scratch):
+    """(lo, hi, sig, k) -> (lo, hi, prob), with ``noisy_or`` called once for each list of recurrences, not for each pair.
+
+    p depends on k only, so pairs whose candidates recur alike have one probability.  There are few such lists,
+    however many pairs: k is at most k_max, and a pair shares at most as many candidates as a record has.
+    """
+    # neither table's size is known before it is made; both are written, so that a list of many pairs can be split
+    found = scratch.save(shared.repartition("lo", "hi").groupBy("lo", "hi").agg(F.array_sort(F.collect_list("k")).alias("ks")), "pairs")
+    p = found.select("ks").distinct().select("ks", F.explode("ks").alias("k")).select("ks", posterior(F.col("k"), a, b).alias("p"))
+    probs = scratch.save(p.groupBy("ks").agg(noisy_or()("p").alias("prob")), "probabilities")
+    return found.hint("merge").join(probs, "ks").select("lo", "hi", "prob")
+
+
 @query("udaf_noisy_or", f"WITH {m._PROD_LINKS} SELECT lo, hi, round(prob, 6) AS prob FROM links")
 def _(s, d):
-    from sigres.functions.posterior import posterior
     shared = resolve.potential_links(fx.prod_pair(s, d), Config([fam.consecutive("name", 2)], rho=0.3, scope="cross"))
-    p = shared.select("lo", "hi", posterior(F.col("k"), 2.0, 0.1).alias("p"))
-    return p.groupBy("lo", "hi").agg(noisy_or()("p").alias("prob")).where("prob > 0.5").select("lo", "hi", F.round("prob", 6).alias("prob"))
+    return joint(shared, 2.0, 0.1, Scratch(s, "noisy-or")).where("prob > 0.5").select("lo", "hi", F.round("prob", 6).alias("prob"))

@@ -3,6 +3,7 @@
 import math
 import random
 
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -414,6 +415,25 @@ def test_grid_points_meet_patterns_and_not_pairs(spark):
         assert (r.tp, r.fp, r.fn) == (tp, len(hit) - tp, 101 - tp)
 
 
+def test_grouped_aggregate_sees_lists_of_recurrences_and_not_pairs(spark, small, tmp_path, monkeypatch):
+    """The Python aggregate is called for each list of recurrences, of which there are far fewer than pairs."""
+    from pyspark.sql.functions import pandas_udf
+    from sigres.plans import catalog, streams
+    calls = str(tmp_path / "calls")
+
+    def noted():
+        @pandas_udf("double")
+        def f(p: pd.Series) -> float:
+            with open(calls, "a") as out:
+                out.write(",".join(sorted(f"{x:.9f}" for x in p)) + "\n")
+            return float(1 - (1 - p).prod())
+        return f
+    monkeypatch.setattr(streams, "noisy_or", noted)
+    pairs_found = catalog.queries()["udaf_noisy_or"](spark, small).count()
+    seen = open(calls).read().split()
+    assert len(seen) == len(set(seen)) and 0 < len(seen) < pairs_found
+
+
 @pytest.mark.parametrize("rows, tile", [(4000, 1000), (2, 3)])
 def test_block_patterns_count_every_pair_of_a_block(spark, small, monkeypatch, rows, tile):
     """However blocks are dealt and tiled, the counts are those of the pairs themselves."""
