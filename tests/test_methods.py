@@ -372,6 +372,27 @@ def test_jaccard_links_count_what_brute_force_finds(spark):
         assert got == want
 
 
+def test_jaccard_links_of_short_sets_meet_no_pair(spark, monkeypatch):
+    """Sets that share a common item are counted by their subsets; the join of pairs is left to longer sets."""
+    rng = random.Random(8)
+    rows = [(i, [f"w{rng.randrange(9)}" for _ in range(rng.randint(0, 6))]) for i in range(150)]
+    sets = {i: set(w) for i, w in rows}
+    want = {(i, min(j for j in sets if sets[j] == x), sum(len(x & y) >= 0.6 * len(x | y) for j, y in sets.items() if j != i and x and y)) for i, x in sets.items()}
+    monkeypatch.setattr(baselines, "_joined_counts", None)
+    assert {tuple(r) for r in baselines.jaccard_links(records(spark, rows), F.col("name"), 0.6).collect()} == want
+
+
+@pytest.mark.parametrize("most, least", [(3, 0.5), (5, 0.5), (8, 0.75)])
+def test_jaccard_links_of_short_and_longer_sets_match_brute_force(spark, monkeypatch, most, least):
+    monkeypatch.setattr(baselines, "SHORT", most)
+    rng = random.Random(most)
+    rows = [(i, [f"w{rng.randrange(14)}" for _ in range(rng.randint(0, 14))]) for i in range(110)]
+    rows += [(200, [None]), (201, ["w1", None, "w2"]), (202, ["w2", "w1"])]
+    sets = {i: {x for x in w if x} for i, w in rows}
+    want = {(i, min(j for j in sets if sets[j] == x), sum(len(x & y) >= least * len(x | y) for j, y in sets.items() if j != i and x and y)) for i, x in sets.items()}
+    assert {tuple(r) for r in baselines.jaccard_links(records(spark, rows), F.col("name"), least).collect()} == want
+
+
 def test_jaccard_query_does_not_expand_copies(spark, small):
     from sigres.plans import catalog
     got = catalog.queries()["b05_distance_jaccard"](spark, small)
