@@ -489,3 +489,34 @@ def test_svm_query_learns_what_every_pair_says(spark, small, monkeypatch):
     seen.clear()
     catalog.queries()["b10_svm"](spark, small).collect()
     assert len(seen) == 5 and max(seen) < every
+
+
+@pytest.mark.parametrize("rows, tile, table", [(4000, 1000, 10 ** 6), (3, 4, 1)])
+def test_trees_on_blocks_link_what_trees_on_pairs_link(spark, monkeypatch, rows, tile, table):
+    """However blocks are dealt, tiled and counted, the links are those of the pairs themselves."""
+    rng = random.Random(12)
+    word = lambda n: [rng.choice("abcde") for _ in range(rng.randint(0, n))]
+    people = []
+    for k in range(90):
+        u, v, block = word(4), word(2), rng.choice(["p", "q", "r", None])
+        people += [(2 * k + n, n, block, k, u if rng.random() < 0.8 else word(4), v if rng.random() < 0.8 else word(2)) for n in (0, 1) if rng.random() < 0.9]
+    people += [(500, 0, "left", 250, ["a"], []), (503, 1, "right", 251, ["a"], [])]
+    df = spark.createDataFrame(people, "rid long, source int, block string, key long, u array<string>, v array<string>").cache()
+    side = lambda p, n: df.where(F.col("source") == n).select("block", *[F.col(c).alias(f"{p}_{c}") for c in ("rid", "key", "u", "v")])
+    alike = lambda a: baselines.jaccard(F.col(f"x_{a}"), F.col(f"y_{a}")).alias(f"sim_{a}")
+    pairs_ = side("x", 0).join(side("y", 1), "block").select(F.col("x_rid").alias("lo"), F.col("y_rid").alias("hi"), F.col("x_key").alias("key"),
+                                                             (F.col("x_key") == F.col("y_key")).cast("int").alias("label"), alike("u"), alike("v"))
+    want = sorted(map(tuple, baselines.supervised_link(pairs_, ["sim_u", "sim_v"], "tree").collect()))
+    monkeypatch.setattr(baselines, "BLOCK_ROWS", rows)
+    monkeypatch.setattr(baselines, "TILE", tile)
+    monkeypatch.setattr(baselines, "TABLE", table)
+    blocks = baselines.BlockPairs(df.where("source = 0"), df.where("source = 1"), ["u", "v"])
+    got = sorted(map(tuple, baselines.supervised_link(blocks, ["sim_u", "sim_v"], "tree").collect()))
+    assert got == want and 0 < len(got) < pairs_.count()
+
+
+def test_trees_query_makes_no_frame_of_pairs(spark, small, monkeypatch):
+    from sigres.plans import catalog
+    want = comparisons._scored(baselines.supervised_link(comparisons.features(spark, small), comparisons._SIMS, "tree"), spark, small).collect()
+    monkeypatch.setattr(comparisons, "features", None)
+    assert catalog.queries()["b11_boosted_trees"](spark, small).collect() == want
