@@ -520,3 +520,40 @@ def test_trees_query_makes_no_frame_of_pairs(spark, small, monkeypatch):
     want = comparisons._scored(baselines.supervised_link(comparisons.features(spark, small), comparisons._SIMS, "tree"), spark, small).collect()
     monkeypatch.setattr(comparisons, "features", None)
     assert catalog.queries()["b11_boosted_trees"](spark, small).collect() == want
+
+
+@pytest.mark.parametrize("word, most, length", [(64, 2, 9), (64, 6, 60), (64, 5, 90), (3, 3, 12)])
+def test_edit_distances_of_arrays_match_brute_force(monkeypatch, word, most, length):
+    """Texts of any length and letters: near ones of two sources, each once."""
+    import numpy as np
+    import pyarrow as pa
+    monkeypatch.setattr(baselines, "WORD", word)
+    monkeypatch.setattr(baselines, "EDIT_TILE", 7)
+    monkeypatch.setattr(baselines, "EDIT_PAIRS", 50)
+    rng = random.Random(most)
+    texts = {"", "a"}
+    while len(texts) < 45:
+        t = list(rng.choice(sorted(texts))) if rng.random() < 0.6 else [rng.choice("ab ä€\U0001f600") for _ in range(rng.randint(length // 2, length))]
+        for _ in range(rng.randint(1, most)):
+            t[rng.randint(0, len(t)):rng.randint(0, len(t)) + 1] = [rng.choice("abz😀")]
+        texts.add("".join(t)[:length])
+    texts = sorted(texts)
+    n = [(rng.randint(0, 2), rng.randint(0, 2)) for _ in texts]
+    table = lambda part: pa.table({"id": [i for i in part], "t": [texts[i] for i in part], "n0": [n[i][0] for i in part], "n1": [n[i][1] for i in part]})
+    near = lambda i, j: _edits(texts[i], texts[j]) <= most and (n[i][0] * n[j][1] or n[i][1] * n[j][0])
+    every = range(len(texts))
+    for left, right in ((every, every), (every[:20], every[20:]), (every[:0], every)):
+        a = baselines._Texts(table(left))
+        b = a if left is right else baselines._Texts(table(right))
+        got = sorted(tuple(sorted(p)) for u, v in baselines._near(a, b, most, a is b) for p in zip(a.id[u].tolist(), b.id[v].tolist()))
+        assert got == sorted({tuple(sorted((i, j))) for i in left for j in right if i != j and near(i, j)})
+
+
+def test_edit_links_put_out_no_pair(spark, monkeypatch):
+    """A task's rows are texts with their counts, not pairs: 60 texts of which every two are near."""
+    seen, join = [], baselines.block_join
+    monkeypatch.setattr(baselines, "block_join", lambda *a, **k: seen.append(join(*a, **k)) or seen[-1])
+    rows = [(i, i % 2, f"same words {chr(97 + i // 2 % 26)}{chr(97 + i // 52)}") for i in range(120)]
+    got = {r.rid: r.links for r in baselines.edit_links(spark.createDataFrame(rows, "rid long, source int, t string"), F.col("t"), 2).collect()}
+    assert got == {i: 60 for i in range(120)}
+    assert seen[0].columns == ["id", "c0", "c1"] and seen[0].count() <= 60 * 16
